@@ -17,7 +17,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     """Documents that neither the base rule nor the learned decision list rejects."""
     rules = quality_rules.learn_rules(docs, load(spark, sf_dir, "labels"))
     rows = docs.select("text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    return quality_rules.apply_rules(rows, rules).where("kept").select("row.*")
+    return quality_rules.kept_rows(quality_rules.apply_rules(rows, rules))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
