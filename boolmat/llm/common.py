@@ -146,7 +146,7 @@ def shingle_hashes(data: np.ndarray, cuts: np.ndarray, size: int, lower: bool =
     per_text = np.bincount(owner, minlength=n_texts)
     first = np.concatenate([[0], np.cumsum(per_text)])
     acc = words.copy()
-    for k in range(1, size):  # acc[i] covers the words i .. i + k
+    for k in range(1, min(size, len(words))):  # acc[i] covers the words i .. i + k
         acc[: len(words) - k] = mixed(acc[: len(words) - k]) * np.uint64(0x2545F4914F6CDD1D) + words[k:]
     keep = np.arange(len(words)) + size <= first[owner + 1] if len(words) else np.zeros(0, bool)
     hashes, owners = mixed(acc[keep]), owner[keep]
