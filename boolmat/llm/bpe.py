@@ -47,21 +47,17 @@ class Tokenizer:
         parts = [piece[i : i + 1] for i in range(len(piece))]
         if len(parts) > 200:
             return self._merge_long(parts)
-        ranks = self.ranks
-        pairs = [ranks.get(parts[i] + parts[i + 1]) for i in range(len(parts) - 1)]
-        while True:
-            best, at = None, -1
-            for i, r in enumerate(pairs):
-                if r is not None and (best is None or r < best):
-                    best, at = r, i
-            if best is None:
-                return tuple(ranks[p] for p in parts)
+        rank, none = self.ranks.get, len(self.ranks)
+        pairs = [rank(a + b, none) for a, b in zip(parts, parts[1:])]
+        while pairs and (best := min(pairs)) < none:
+            at = pairs.index(best)
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
             del pairs[at]
             if at:
-                pairs[at - 1] = ranks.get(parts[at - 1] + parts[at])
+                pairs[at - 1] = rank(parts[at - 1] + parts[at], none)
             if at < len(pairs):
-                pairs[at] = ranks.get(parts[at] + parts[at + 1])
+                pairs[at] = rank(parts[at] + parts[at + 1], none)
+        return tuple([self.ranks[p] for p in parts])
 
     def _merge_long(self, parts: list[bytes]) -> tuple[int, ...]:
         """The same with a heap over a linked list, for pieces of any length."""
@@ -207,7 +203,9 @@ def _decoded(encoded: DataFrame, path: str, pattern: str, digest: bool) -> DataF
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
                 sizes, sums, outs = [], [], []
-                for ids in part.column(1).to_pylist():
+                lists = part.column(1)
+                ends, flat = lists.offsets.to_pylist(), lists.flatten().to_numpy().tolist()
+                for ids in (flat[a - ends[0] : b - ends[0]] for a, b in zip(ends, ends[1:])):
                     sizes.append(len(ids))
                     sums.append(hashlib.sha256(" ".join(map(decimal.__getitem__, ids)).encode()).hexdigest())
                     raw = t.decode(ids)

@@ -174,7 +174,7 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     more = written(more.join(pairs, ["a", "b", "fa", "fb"], "left_anti").join(pairs.toDF("b", "a", "fb", "fa"), ["a", "b", "fa", "fb"], "left_anti"), "near-more")
     if more.limit(1).count():
         links = links.unionAll(verified(more, docs, size, percent))
-    own = signed.join(classes.select("f1", "f2", "n", "doc"), ["f1", "f2", "n"], "left").select("doc_id", "n", F.coalesce("doc", "doc_id").alias("doc"))
+    own = signed.join(classes.select("f1", "f2", "n", "doc"), ["f1", "f2", "n"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.coalesce("doc", "doc_id")).alias("doc"))
     own = written(own, "near-members")
     # an id that stands on different texts ties their classes together
     twice = own.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("doc").alias("least"), F.max("doc").alias("most")).where("least <> most").select("doc_id")
