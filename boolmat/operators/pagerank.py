@@ -51,7 +51,7 @@ def product_of(matrix: BoolMatrix, fmt: str, side: str = "right", blocks: int |
     return (lambda x: spmv(cm, x)) if side == "right" else (lambda x: spmv_left(cm, x))
 
 
-def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, checkpoint_every: int = 10, **opts) -> RankResult:
+def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, **opts) -> RankResult:
     """Ranks after `iterations` steps, or earlier where the change falls below tol (looked at every check_every steps).
 
     start, teleport: (id, value), scaled to sum 1; uniform by default. The limit depends on teleport, not on start.
@@ -71,23 +71,19 @@ def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100,
     fixed = stored(fixed if teleport is not None else fixed.withColumn("tp", F.lit(1.0 / n)), "vertices")
     now = fixed.withColumn("value", F.lit(1.0 / n)) if start is None else fixed.join(shares(start, "value"), "id")
     history: list[DataFrame] = []
-    held: list[DataFrame] = []
     for t in range(1, iterations + 1):
         x = now.select("id", F.when(F.col("degree") > 0, F.col("value") / F.col("degree")).otherwise(0.0).alias("value"))
         loose = now.agg(F.coalesce(F.sum(F.when(F.col("degree") == 0, F.col("value"))), F.lit(0.0)).alias("s"))
         y = step_of(x).select("id", F.col("value").alias("y"))
         joined = now.join(y, "id", "left").crossJoin(F.broadcast(loose))
         new = joined.select("id", "degree", "tp", (alpha * F.col("tp") + (1 - alpha) * (F.coalesce("y", F.lit(0.0)) + F.col("s") / n)).alias("value"), F.col("value").alias("old"), "s")
-        new = stored(new, "ranks") if t % checkpoint_every == 0 else new.persist()
+        new = stored(new, "ranks")  # a step reads its input three times, so plans must not nest
         change = F.abs(F.col("value") - F.col("old"))
         delta = {"l1": F.sum(change), "linf": F.max(change), "l2": F.sqrt(F.sum(change * change))}[norm]
         told = new.agg(delta.alias("delta"), F.sum("value").alias("mass"), F.max("s").alias("dangling")).select(F.lit(t).alias("t"), "delta", "mass", "dangling")
-        row = told.first()  # makes the step; three numbers
+        row = told.first()  # four numbers
         history.append(matrix.df.sparkSession.createDataFrame([tuple(row)], "t int, delta double, mass double, dangling double"))
-        held.append(new)
         now = new.select("id", "degree", "tp", "value")
-        if len(held) > 2:
-            held[-3].unpersist()
         if tol is not None and t % check_every == 0 and row["delta"] < tol:
             break
     return RankResult(now.select("id", "value"), reduce(DataFrame.unionAll, history))
@@ -98,16 +94,12 @@ def _normalised(v: DataFrame) -> DataFrame:
     return v.crossJoin(F.broadcast(total)).select("id", F.when(F.col("total") > 0, F.col("value") / F.col("total")).otherwise(0.0).alias("value"))
 
 
-def _kept(v: DataFrame, t: int) -> DataFrame:
-    return stored(v, "vector") if t % 5 == 4 else v.persist()
-
-
 def eigen_centrality(matrix: BoolMatrix, iterations: int = 10, fmt: str = "edgelist", **opts) -> DataFrame:
     """(id, value): A' x, scaled to length 1, repeated from the uniform vector; vertices without in-links end at 0."""
     step = product_of(matrix, fmt, **opts)
     v = matrix.df.sparkSession.range(matrix.n_rows).select("id", F.lit(1.0 / matrix.n_rows).alias("value"))
-    for t in range(iterations):
-        v = _kept(_normalised(step(v)), t)
+    for _ in range(iterations):
+        v = stored(_normalised(step(v)), "vector")
     return v
 
 
@@ -115,9 +107,9 @@ def hits(matrix: BoolMatrix, iterations: int = 5) -> DataFrame:
     """(id, hub, authority): a = A' h and h = A a in turn, each scaled to length 1."""
     h = matrix.df.sparkSession.range(matrix.n_rows).select("id", F.lit(1.0).alias("value"))
     a = h
-    for t in range(iterations):
-        a = _kept(_normalised(spmv_edges(matrix.transpose(), h)), t)
-        h = _kept(_normalised(spmv_edges(matrix, a)), t)
+    for _ in range(iterations):
+        a = stored(_normalised(spmv_edges(matrix.transpose(), h)), "vector")
+        h = stored(_normalised(spmv_edges(matrix, a)), "vector")
     return matrix.df.sparkSession.range(matrix.n_rows).join(h.select("id", F.col("value").alias("hub")), "id", "left").join(a.select("id", F.col("value").alias("authority")), "id", "left").select("id", F.coalesce("hub", F.lit(0.0)).alias("hub"), F.coalesce("authority", F.lit(0.0)).alias("authority"))
 
 
@@ -125,9 +117,9 @@ def katz(matrix: BoolMatrix, beta: float = 0.001, iterations: int = 5) -> DataFr
     """(id, value): x = beta A' x + 1, repeated from 1."""
     ids = matrix.df.sparkSession.range(matrix.n_rows)
     x = ids.select("id", F.lit(1.0).alias("value"))
-    for t in range(iterations):
+    for _ in range(iterations):
         y = spmv_edges(matrix.transpose(), x).select("id", F.col("value").alias("y"))
-        x = _kept(ids.join(y, "id", "left").select("id", (1.0 + beta * F.coalesce("y", F.lit(0.0))).alias("value")), t)
+        x = stored(ids.join(y, "id", "left").select("id", (1.0 + beta * F.coalesce("y", F.lit(0.0))).alias("value")), "vector")
     return x
 
 
