@@ -106,9 +106,9 @@ class PackageEnergyMeter:
 def integrate_power(samples: DataFrame, volts: float, device: str = "device", ts: str = "ts", amps: str = "amps") -> DataFrame:
     """(device, joules): trapezoids between neighbouring samples of a current trace at a stated voltage."""
     w = Window.partitionBy(device).orderBy(ts, amps)
-    t = F.unix_micros(F.col(ts).cast("timestamp")) / 1e6
+    t = F.unix_micros(F.col(ts).cast("timestamp"))
     rows = samples.select(device, t.alias("t"), F.col(amps).alias("i"), F.lead(t).over(w).alias("t2"), F.lead(amps).over(w).alias("i2"))
-    return rows.where("t2 IS NOT NULL").groupBy(device).agg(F.sum((F.col("t2") - F.col("t")) * (F.col("i") + F.col("i2")) / 2 * volts).alias("joules"))
+    return rows.where("t2 IS NOT NULL").groupBy(device).agg(F.sum((F.col("t2") - F.col("t")) / 1e6 * (F.col("i") + F.col("i2")) / 2 * volts).alias("joules"))
 
 
 def peak_memory(spark: SparkSession) -> dict:
