@@ -18,7 +18,7 @@ or non-finite components take no part; equal scores go to the smaller id; a quer
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from math import erf, sqrt
 
 import numpy as np
 import pyarrow as pa
@@ -38,7 +38,7 @@ def usable(v: Column) -> Column:
 class CollisionIndex:
     """The sorted arrays of one block. threshold: collisions that a vector at the search radius reaches with `surety` sigmas."""
 
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray, directions: int = 48, reach: float = 1.0, surety: float = 1.75, seed: int = 7):
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, directions: int = 32, reach: float = 0.9, surety: float = 0.9, seed: int = 7):
         order = np.lexsort((ids, *vectors.T[::-1]))
         ids, vectors = ids[order], vectors[order]
         fresh = np.ones(len(ids), bool)
@@ -53,31 +53,38 @@ class CollisionIndex:
         self.axes = rng.standard_normal((wide.shape[1], directions))
         self.projected = wide @ self.axes
         self.order = np.argsort(self.projected, axis=0, kind="stable").T.copy()
-        self.sorted = np.take_along_axis(self.projected, self.order.T, 0).T.copy()
-        from math import erf, sqrt
-
+        # all sorted arrays behind one another, each lifted above the one before: one search serves all directions
+        self.floor, self.ceiling = float(self.projected.min()) - 1, float(self.projected.max()) + 1
+        self.lift = np.arange(directions) * (self.ceiling - self.floor + 1)
+        self.flat = (np.take_along_axis(self.projected, self.order.T, 0).T + self.lift[:, None]).ravel()
+        self.probe = rng.choice(len(self.vectors), min(len(self.vectors), 256), replace=False)
         p = erf(reach / sqrt(2))
         self.reach, self.threshold = reach, max(1, int(np.floor(directions * p - surety * sqrt(directions * p * (1 - p)))))
 
-    def search(self, own: int, query: np.ndarray, k: int, step: float = 1.25) -> list[tuple[float, int]]:
+    def spots(self, values: np.ndarray, side: str) -> np.ndarray:
+        """Place of one value per direction in its sorted array."""
+        n = len(self.vectors)
+        found = np.searchsorted(self.flat, np.clip(values, self.floor, self.ceiling) + self.lift, side)
+        return np.clip(found - np.arange(len(self.lift)) * n, 0, n)
+
+    def search(self, own: int, query: np.ndarray, k: int, step: float = 1.2) -> list[tuple[float, int]]:
         """The k best of this block as (score, id), best first, without the id `own`."""
         n, (dirs, _) = len(self.vectors), self.order.shape
         at = query @ self.axes[:-1]  # a query's added component is 0
         size2 = float(query @ query)
-        gap = np.abs(self.projected - at)
-        counts = np.zeros(n, np.int16)
+        counts = np.zeros(n, np.int64)
         seen = np.zeros(n, bool)
-        low = np.array([np.searchsorted(self.sorted[j], at[j]) for j in range(dirs)])
-        high = low.copy()
-        width = float(np.quantile(gap[: min(n, 512)], 0.02)) + 1e-12
+        low = high = self.spots(at, "left")
+        # the best of a few probes tells about how far the k-th best of the block will be; the first windows are as wide
+        near = float((self.vectors[self.probe] @ query).max())
+        width = 0.9 * self.reach * sqrt(max(self.top + size2 - 2 * near, 0.0)) + 1e-9 * sqrt(self.top + size2)
         best: list[tuple[float, int]] = []
         while True:
-            for j in range(dirs):
-                row = self.sorted[j]
-                a, b = np.searchsorted(row, at[j] - width, "left"), np.searchsorted(row, at[j] + width, "right")
-                counts[self.order[j, a : low[j]]] += 1
-                counts[self.order[j, high[j] : b]] += 1
-                low[j], high[j] = min(a, low[j]), max(b, high[j])
+            a, b = self.spots(at - width, "left"), self.spots(at + width, "right")
+            edges = [self.order[j, x:y] for j in range(dirs) for x, y in ((a[j], low[j]), (high[j], b[j])) if x < y]
+            if edges:
+                counts += np.bincount(np.concatenate(edges), minlength=n)
+            low, high = np.minimum(a, low), np.maximum(b, high)
             fresh = np.flatnonzero((counts >= self.threshold) & ~seen)
             if len(fresh):
                 seen[fresh] = True
@@ -99,7 +106,7 @@ class CollisionIndex:
             width *= step
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "vec_id", embedding: str = "embedding", block: int = 8192, query_block: int = 4096, **index) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "vec_id", embedding: str = "embedding", block: int = 16_384, query_block: int = 1_024, **index) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k largest inner products over all vectors but its own row.
 
     block, query_block: expected rows of a data and of a query block. Scores are double-precision products of the
@@ -111,10 +118,12 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "
     data, asked = clean(vectors), clean(queries)
     n_data, n_asked = data.count(), asked.count()
     blocks, asked_blocks = max(1, -(-n_data // block)), max(1, -(-n_asked // query_block))
-    data = data.withColumn("b", F.pmod(F.xxhash64("id", "v"), F.lit(blocks)))
-    asked = asked.withColumn("q", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(asked_blocks)))
-    dealt = asked.withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select("b", "q", "id", "v")
-    held = data.withColumn("q", F.explode(F.sequence(F.lit(0), F.lit(asked_blocks - 1)))).select("b", "q", "id", "v") if asked_blocks > 1 else data.withColumn("q", F.lit(0).cast("long")).select("b", "q", "id", "v")
+    data = data.withColumn("b", F.pmod(F.xxhash64("id", "v"), F.lit(blocks).cast("bigint")))
+    asked = asked.withColumn("q", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(asked_blocks).cast("bigint")))
+    # both sides' keys are bigint: numbers of different types would be dealt to different partitions
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint")))
+    dealt = asked.withColumn("b", every(blocks)).select("b", "q", "id", "v")
+    held = data.withColumn("q", every(asked_blocks)).select("b", "q", "id", "v")
     arrow = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
     def table(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:

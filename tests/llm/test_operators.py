@@ -96,7 +96,9 @@ def test_neighbours_recall_ties_and_odd_vectors(spark):
     rows = [(i, x.tolist()) for i, x in enumerate(v)] + [(1000 + i, v[7].tolist()) for i in range(40)] + [(2000, None), (2001, [0.0] * 16), (2002, [float("nan")] * 16), (2003, [None] * 16), (2004, [1.0, 2.0]), (2005, [])]
     df = spark.createDataFrame(rows, "vec_id bigint, embedding array<float>")
     asked = df.where("vec_id % 20 = 0")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
     got = ann.nearest(df, asked, 20, block=300, query_block=16).collect()
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "true")
     want = ann.nearest_exact(df, asked, 20).collect()
     key = lambda r: (r.query_id, r.vec_id)
     assert len({*map(key, got)} & {*map(key, want)}) >= 0.95 * len(want)
@@ -244,7 +246,11 @@ def brute_components(rows, size, percent):
     return {i: find(i) for i in root}
 
 
-def test_near_duplicates_against_brute_force(spark, docs):
+@pytest.mark.parametrize("bucket", [32, 1])
+def test_near_duplicates_against_brute_force(spark, docs, bucket, monkeypatch):
+    monkeypatch.setattr(minhash, "SMALL_BUCKET", bucket)
+    monkeypatch.setattr(minhash, "ASKED", 8 if bucket == 1 else 256)
+    monkeypatch.setattr(minhash, "HELD", 16 if bucket == 1 else 1024)
     rng = random.Random(9)
     say = lambda k: [rng.choice(["Ab", "cd", "ef", "gh", "ij", "kl", "mn"]) + str(rng.randint(0, 30)) for _ in range(k)]
     rows, base = [], say(120)
@@ -257,7 +263,7 @@ def test_near_duplicates_against_brute_force(spark, docs):
             base = copy
     rows += [(300 + i, " ".join(say(rng.randint(0, 40)))) for i in range(40)] + [(400, None), (401, ""), (402, "one"), (403, "ONE"), (404, "one two"), (405, rows[0][1]), (405, rows[40][1]), (406, rows[0][1].upper())]
     df = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("n", F.lit(1)).withColumn("root", F.lit("r")).repartition(3)
-    for size, percent in ((3, 85), (5, 80)):
+    for size, percent in ((3, 85),) if bucket == 1 else ((3, 85), (5, 80)):
         want = brute_components(rows, size, percent)
         got = minhash.near_duplicates(df, size, percent).collect()
         assert len(got) == len(rows) and all(r.component_id == want[r.doc_id] and r.kept == (r.doc_id == r.component_id) for r in got)
