@@ -102,6 +102,11 @@ def fold_encode(values: np.ndarray, keep: int = 8) -> bytes:
     return head + pack_fixed(gaps, width_gap) + pack_fixed(f, width_f) + x.astype(np.uint32).tobytes() + words + join_bits(low, shift)
 
 
+def fold_encode_best(values: np.ndarray, keeps: tuple[int, ...] = (2, 3, 4, 6, 8, 10)) -> bytes:
+    """The shortest of several foldings: short streams cannot pay for large class tables."""
+    return min((fold_encode(values, k) for k in keeps), key=len)
+
+
 def fold_decode(data: bytes) -> np.ndarray:
     n, keep = struct.unpack_from("<II", data)
     if not n:

@@ -13,7 +13,7 @@ from collections import defaultdict
 
 import numpy as np
 
-from ..bits import fold_decode, fold_encode, pack_fixed, unpack_fixed, width_of
+from ..bits import fold_decode, fold_encode_best, pack_fixed, unpack_fixed, width_of
 from .base import Format, Parts, Tile, add_at, from_header, from_ints, header, ints, row_lengths
 
 
@@ -155,7 +155,7 @@ class PairGrammar(Format):
             parts |= {"rules": ints(table.ravel()), "final": ints(seq), "lengths": ints(lengths)}
         else:
             parts |= {"rules": pack_fixed(table.ravel(), width), "lengths": pack_fixed(lengths, width_len)}
-            parts["final"] = pack_fixed(seq, width) if self.coding == "packed" else fold_encode(seq)
+            parts["final"] = pack_fixed(seq, width) if self.coding == "packed" else fold_encode_best(seq)
         return parts, {"rules": len(table), "symbols": len(seq), "touched": 2 * len(table) + len(seq)}
 
     def _open(self, parts: Parts, n_rows: int):

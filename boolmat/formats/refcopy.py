@@ -12,7 +12,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..bits import PrefixReader, fold_decode, fold_encode, pack_fixed, prefix_encode, unpack_fixed, width_of
+from ..bits import PrefixReader, fold_decode, fold_encode_best, pack_fixed, prefix_encode, unpack_fixed, width_of
 from .base import Format, Parts, Tile, add_at, from_header, header, row_lengths
 
 
@@ -128,7 +128,7 @@ class RefCopy(Format):
             width = width_of(int(first.max()) if len(first) else 0)
             parts["offsets"] = bytes([width]) + pack_fixed(first, width)
         else:
-            parts["data"] = fold_encode(values, 6)
+            parts["data"] = fold_encode_best(values)
         return parts, {"numbers": len(values), "diffs": diffs, "copied_rows": sum(x > 0 for x in depth), "touched": diffs}
 
     def _numbers(self, parts: Parts) -> list[int]:
