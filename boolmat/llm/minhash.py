@@ -5,8 +5,8 @@
 2. Documents with equal sets form a class; only classes go on, named by their smallest document id.
 3. Classes that share a band key are candidates. No bucket is turned into all its pairs: first every member is compared
    with the bucket's smallest one; then, in buckets whose members are not yet in one component, members outside the
-   bucket's largest component are compared with the members of other components. So every pair of a bucket is either
-   verified or already known to be connected.
+   largest component are compared with the members of other components, in large buckets block by block without a row
+   per pair. So every pair of a bucket is either verified or already known to be connected.
 4. Candidates are sifted by size and by the bits, then verified by intersecting full shingle sets.
 5. Components come from alternating large-star and small-star steps.
 
@@ -29,6 +29,8 @@ from .common import mixed, shingle_hashes, slices, text_buffers, written
 
 #: Bands and minima per band.
 BANDS, ROWS = 26, 5
+#: Open buckets of up to this many members are compared by a join; larger ones by blocks of so many members on each side.
+SMALL_BUCKET, ASKED, HELD = 32, 256, 1024
 #: Above this number of document ids a table of them is joined by a shuffle instead of a broadcast (16 bytes each).
 BROADCAST_IDS = 1_000_000
 _SIGNATURE = "doc_id bigint, n bigint, f1 bigint, f2 bigint, bands array<bigint>, bits array<bigint>"
@@ -125,6 +127,70 @@ def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> Data
     return both.where(100 * common >= percent * (F.size("x") + F.size("y") - common)).select("a", "b")
 
 
+class _Forest:
+    """Joins roots; tells whether a join was new."""
+
+    def __init__(self):
+        self.up: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        while (y := self.up.get(x, x)) != x:
+            self.up[x] = x = self.up.get(y, y)
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        x, y = self.find(x), self.find(y)
+        self.up[max(x, y)] = min(x, y)
+        return x != y
+
+
+def linked_blocks(large: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
+    """(a, b): links that join components, among the members (key, doc, f1, root) of large open buckets.
+
+    Buckets that share members form a cluster. The members outside a cluster's largest component are compared with all
+    its members, block by block; a block pair counts common shingles through an index of its first block, and gives only
+    links between roots that it has not joined yet, not all its pairs.
+    """
+    least = large.groupBy("key").agg(F.min("doc").alias("b"))
+    cluster = connected(large.join(least, "key").select(F.col("doc").alias("a"), "b").distinct())
+    members = large.select("doc", "f1", "root").distinct().join(cluster.select(F.col("node").alias("doc"), F.col("root").alias("c")), "doc", "left").withColumn("c", F.coalesce("c", "doc"))
+    members = written(members, "near-clusters")
+    per_root = members.groupBy("c", "root").agg(F.count("*").alias("k"))
+    shape = per_root.groupBy("c").agg(F.max(F.struct("k", "root")).alias("top"), F.sum("k").alias("n")).select("c", F.col("top.root").alias("largest"), F.ceil((F.col("n") - F.col("top.k")) / ASKED).alias("us"), F.ceil(F.col("n") / HELD).alias("vs")).where("us > 0")
+    ids = members.select(F.col("doc").alias("doc_id")).distinct()
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi")
+    sets = shingle_sets(texts, size).dropDuplicates(["doc_id", "f1"]).withColumnRenamed("doc_id", "doc")
+    whole = written(members.join(shape, "c").join(sets, ["doc", "f1"]), "near-blocks")
+    spread = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    asked = whole.where("root <> largest").withColumn("u", F.pmod(F.xxhash64("doc", F.lit(1)), F.col("us"))).withColumn("v", spread("vs")).select("c", "u", "v", "doc", "root", "items")
+    held = whole.withColumn("v", F.pmod(F.xxhash64("doc", F.lit(2)), F.col("vs"))).withColumn("u", spread("us")).select("c", "u", "v", "doc", "root", "items")
+
+    def compare(left: pa.Table, right: pa.Table) -> pa.Table:
+        out: list[tuple[int, int]] = []
+        if left.num_rows and right.num_rows:
+            mine = left.column("items").combine_chunks()
+            ends = np.asarray(mine.offsets)
+            sizes, flat = np.diff(ends), np.asarray(mine.flatten())
+            order = np.argsort(flat, kind="stable")
+            owner = np.repeat(np.arange(len(sizes)), sizes)[order]
+            kinds, first, times = np.unique(flat[order], return_index=True, return_counts=True)
+            u_doc, u_root = left.column("doc").to_pylist(), left.column("root").to_pylist()
+            forest = _Forest()
+            for v_doc, v_root, items in zip(right.column("doc").to_pylist(), right.column("root").to_pylist(), right.column("items"), strict=True):
+                theirs = np.asarray(items.values)
+                at = np.minimum(np.searchsorted(kinds, theirs), len(kinds) - 1)
+                at = at[kinds[at] == theirs]
+                n = times[at]
+                spots = np.repeat(first[at] - np.cumsum(n) + n, n) + np.arange(n.sum())
+                common = np.bincount(owner[spots], minlength=len(sizes))
+                for i in np.flatnonzero(100 * common >= percent * (sizes + len(theirs) - common)):
+                    if forest.join(u_root[i], v_root):
+                        out.append((u_doc[i], v_doc))
+        return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
+
+    return asked.groupBy("c", "u", "v").cogroup(held.groupBy("c", "u", "v")).applyInArrow(compare, "a bigint, b bigint")
+
+
 def connected(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of the edges (a, b), root being the smallest node of its component, by alternating
     large-star and small-star steps until the edges stay the same. Roots themselves have no row."""
@@ -167,13 +233,17 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     # buckets that are not yet within one component: the rest of their pairs, without those inside a component
     placed = member.join(buckets.select("key"), "key", "left_semi").join(roots.withColumnRenamed("node", "doc"), "doc", "left").withColumn("root", F.coalesce("root", "doc"))
     per_root = placed.groupBy("key", "root").agg(F.count("*").alias("size"))
-    open_keys = per_root.groupBy("key").agg(F.max(F.struct("size", "root")).alias("largest"), F.count("*").alias("roots")).where("roots > 1").select("key", F.col("largest.root").alias("largest"))
+    open_keys = per_root.groupBy("key").agg(F.max(F.struct("size", "root")).alias("largest"), F.count("*").alias("roots"), F.sum("size").alias("total")).where("roots > 1").select("key", F.col("largest.root").alias("largest"), "total")
     opened = written(placed.join(open_keys, "key"), "near-open")
-    rest = opened.where("root <> largest").alias("u").join(opened.alias("v"), (F.col("u.key") == F.col("v.key")) & (F.col("u.root") != F.col("v.root")) & ((F.col("v.root") == F.col("v.largest")) | (F.col("u.doc") < F.col("v.doc"))) & F.expr(alike("u", "v")))
+    few = opened.where(F.col("total") <= SMALL_BUCKET)
+    rest = few.where("root <> largest").alias("u").join(few.alias("v"), (F.col("u.key") == F.col("v.key")) & (F.col("u.root") != F.col("v.root")) & ((F.col("v.root") == F.col("v.largest")) | (F.col("u.doc") < F.col("v.doc"))) & F.expr(alike("u", "v")))
     more = rest.select(F.col("u.doc").alias("a"), F.col("v.doc").alias("b"), F.col("u.f1").alias("fa"), F.col("v.f1").alias("fb")).distinct()
     more = written(more.join(pairs, ["a", "b", "fa", "fb"], "left_anti").join(pairs.toDF("b", "a", "fb", "fa"), ["a", "b", "fa", "fb"], "left_anti"), "near-more")
     if more.limit(1).count():
         links = links.unionAll(verified(more, docs, size, percent))
+    large = opened.where(F.col("total") > SMALL_BUCKET).select("key", "doc", "f1", "root")
+    if large.limit(1).count():
+        links = links.unionAll(written(linked_blocks(large, docs, size, percent), "near-links"))
     own = signed.join(classes.select("f1", "f2", "n", "doc"), ["f1", "f2", "n"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.coalesce("doc", "doc_id")).alias("doc"))
     own = written(own, "near-members")
     # an id that stands on different texts ties their classes together
