@@ -33,7 +33,7 @@ def text_stats(docs: DataFrame) -> DataFrame:
     out = out.withColumn("n_words", F.size("__words").cast("long"))
     out = out.withColumn("word_chars", F.length(F.translate(text, BLANKS, "")).cast("long"))
     out = out.withColumn("n_symbols", (F.length(text) - F.length(F.translate(text, "#*$%&|<>", ""))).cast("long"))
-    lines = out.withColumn("__lines", F.expr(r"filter(split(coalesce(text, ''), '\n'), l -> length(translate(l, ' \t\n\u000b\f\r', '')) > 0)"))
+    lines = out.withColumn("__lines", F.expr(r"filter(split(coalesce(text, ''), '\n'), l -> length(translate(l, ' \t\n\u000b\u000c\r', '')) > 0)"))
     out = lines.withColumn("n_dup_lines", (F.size("__lines") - F.size(F.array_distinct("__lines"))).cast("long"))
     # windows of eight words by hash; only texts in which a hash recurs sort theirs to find the words they cover
     out = out.withColumn("__hashes", F.expr("transform(__words, w -> xxhash64(w))"))

@@ -128,6 +128,14 @@ def test_rule_statistics(docs, empty):
     assert quality_rules.apply_rules(empty, quality_rules.DecisionList(())).count() == 0
 
 
+def test_lines_of_form_feeds_and_of_the_letter_f(spark):
+    odd = ["a\n\f\nb\n\f\n\f", "f\nx\nf", "ff\n f \nff\nff", "\f\n\f", "\x0b\n\x0b\na\na"]
+    df = spark.createDataFrame(list(enumerate(odd)), "doc_id bigint, text string")
+    got = {r.doc_id: (r.n_dup_lines, r.dup_line_share) for r in quality_rules.text_stats(df).collect()}
+    assert got == {0: (0, 0.0), 1: (1, 1 / 3), 2: (2, 0.5), 3: (0, 0.0), 4: (1, 0.5)}
+    assert all(got[i][0] == brute_stats(t)[3] for i, t in enumerate(odd))
+
+
 def test_rules_are_learned_and_clean_rows_stay():
     rng = np.random.default_rng(0)
     x = rng.random((600, len(quality_rules.FEATURES)))
