@@ -130,7 +130,18 @@ def _spmm(s: SparkSession, d: str) -> DataFrame:
     return y.select("id", F.posexplode("vec").alias("k", "value")).where("value <> 0").select("id", F.col("k").cast("bigint").alias("k"), (F.round("value", 9) + F.lit(0.0)).alias("value"))
 
 
+def _spmm_whole(s: SparkSession, d: str) -> DataFrame:
+    """All components, for the rows with a one whose column has a vector."""
+    m, vectors = graphs.matrix(s, d, "F3"), load(s, d, "embeddings")
+    x = vectors.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    width = vectors.agg(F.max(F.size("embedding"))).first()[0] or 0
+    met = m.df.join(x.select(F.col("id").alias("col")), "col", "left_semi").select(F.col("row").alias("id")).distinct()
+    y = plans.spmm(encode(m, "pg_w32", 2), x, width).join(met, "id", "left_semi")
+    return rounded(y.select("id", F.posexplode("vec").alias("k", "value")).withColumn("k", F.col("k").cast("bigint")), "value")
+
+
 add("spmm_embeddings", _spmm, f"WITH {edges_cte('F3')}, x AS (SELECT vec_id, unnest(embedding[1:4]) AS c, generate_subscripts(embedding[1:4], 1) - 1 AS k FROM embeddings) SELECT u AS id, k::BIGINT AS k, round(sum(c::DOUBLE), 9) AS value FROM e JOIN x ON e.v = x.vec_id GROUP BY 1, 2")
+add("spmm_embeddings_whole", _spmm_whole, f"WITH {edges_cte('F3')}, x AS (SELECT vec_id, unnest(embedding) AS c, generate_subscripts(embedding, 1) - 1 AS k FROM embeddings) SELECT u AS id, k::BIGINT AS k, round(sum(c::DOUBLE), 9) AS value FROM e JOIN x ON e.v = x.vec_id GROUP BY 1, 2")
 
 # Round trips, access, algebra ---------------------------------------------------------------------------------------
 for _fmt, _f, _b in (("csr", "F6", 3), ("dense", "F3", 2), ("deflate", "F7", 2), ("lzma", "F7", 2), ("refcopy_prefix", "F6", 3), ("refcopy_stream", "F2", 4), ("quadbits", "F8", 4), ("pg_w32", "F1", 4), ("pg_packed", "F6", 3), ("pg_folded", "F2", 4), ("blocktree2d", "F2", 4), ("biclique", "F6", 3), ("colgroup", "F7", 3)):

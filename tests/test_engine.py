@@ -79,3 +79,9 @@ def test_energy(spark):
 
 def test_bits_per_edge_of_pairs(spark, sf):
     assert bits_per_edge(encode(matrix(spark, sf, "F4"), "edgelist", 2)).first().bits_per_edge == 64
+
+
+def test_embedding_product_takes_every_component(spark, sf):
+    got = QUERIES["spmm_embeddings_whole"](spark, sf)
+    assert {r.k for r in got.select("k").distinct().collect()} == set(range(64))
+    assert compare(got, duck(sf), ORACLES["spmm_embeddings_whole"]) == ""
