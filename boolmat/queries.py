@@ -354,6 +354,25 @@ add("top_per_group", lambda s, d: rel.top_per(load(s, d, "part"), "p_brand", [F.
 _k = lambda s, d, m: load(s, d, "customer").where(f"c_custkey % {m} = 0").select("c_nationkey")
 for _op, _all in (("union", True), ("union", False), ("intersect", True), ("intersect", False), ("except", True), ("except", False)):
     add(f"{_op}{'_all' if _all else ''}", lambda s, d, o=_op, a=_all: rel.set_op(_k(s, d, 2), _k(s, d, 3), o, a), f"SELECT c_nationkey FROM customer WHERE c_custkey % 2 = 0 {_op.upper()} {'ALL' if _all else ''} SELECT c_nationkey FROM customer WHERE c_custkey % 3 = 0")
+
+
+def _with_transpose(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    cells = graphs.matrix(s, d, "F2").df
+    return cells, cells.select(F.col("col").alias("row"), F.col("row").alias("col"))
+
+
+for _op, _all in (("union", True), ("union", False), ("intersect", True), ("intersect", False), ("except", True), ("except", False)):
+    add(f"{_op}{'_all' if _all else ''}_edges", lambda s, d, o=_op, a=_all: rel.set_op(*_with_transpose(s, d), o, a), f"WITH {edges_cte('F2')} SELECT u AS row, v AS col FROM e {_op.upper()} {'ALL' if _all else ''} SELECT v, u FROM e")
+
+
+def _both_products(s: SparkSession, d: str) -> DataFrame:
+    """The right and the left product of F6 side by side: rows without a one and columns without a one meet nothing."""
+    m = graphs.matrix(s, d, "F6")
+    x = v1(m.n_rows, s)
+    return rel.join_outer(plans.spmv_edges(m, x).withColumnRenamed("value", "a"), plans.spmv_left_edges(m, x).withColumnRenamed("value", "b"), "id")
+
+
+add("join_full_vectors", _both_products, f"WITH {edges_cte('F6')}, x AS (SELECT u::BIGINT AS id, sum({_X('v')}) AS a FROM e GROUP BY 1), y AS (SELECT v::BIGINT AS id, sum({_X('u')}) AS b FROM e GROUP BY 1) SELECT coalesce(x.id, y.id) AS id, a, b FROM x FULL JOIN y ON x.id = y.id")
 add("sample_rows", lambda s, d: rel.sample_rows(load(s, d, "lineitem"), 0.1).select("l_orderkey"))
 add("url_functions", lambda s, d: load(s, d, "pages").select("page_id", reverse_host(F.col("url")).alias("rev"), url_path(F.col("url")).alias("path")), "SELECT page_id, array_to_string(list_reverse(string_split(regexp_extract(url, '^(?:[a-z]+://)?([^/?#]*)', 1), '.')), '.') AS rev, regexp_extract(url, '^(?:[a-z]+://)?[^/?#]*([^?#]*)', 1) AS path FROM pages")
 add("date_functions", lambda s, d: load(s, d, "orders").groupBy(F.date_trunc("month", "o_orderdate").cast("timestamp_ntz").alias("month")).agg(F.count("*").alias("n")), "SELECT date_trunc('month', o_orderdate)::TIMESTAMP AS month, count(*) AS n FROM orders GROUP BY 1")

@@ -85,3 +85,14 @@ def test_embedding_product_takes_every_component(spark, sf):
     got = QUERIES["spmm_embeddings_whole"](spark, sf)
     assert {r.k for r in got.select("k").distinct().collect()} == set(range(64))
     assert compare(got, duck(sf), ORACLES["spmm_embeddings_whole"]) == ""
+
+
+@pytest.mark.parametrize("name", ["union_all_edges", "union_edges", "intersect_all_edges", "intersect_edges", "except_all_edges", "except_edges", "join_full_vectors"])
+def test_set_operators_and_full_join_over_whole_inputs(spark, sf, name):
+    got = QUERIES[name](spark, sf)
+    assert compare(got, duck(sf), ORACLES[name]) == ""
+    n = matrix(spark, sf, "F2").df.count()
+    if name == "join_full_vectors":
+        assert got.where("a IS NULL").count() and got.where("b IS NULL").count()
+    else:
+        assert got.count() == {"union_all": 2 * n, "except": 0, "except_all": 0}.get(name.removesuffix("_edges"), n)
