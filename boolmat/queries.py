@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .formats.registry import COMPARED, FORMATS
 from .functions.scalar import byte_bits, gaps, list_diff, merge_metrics, morton, register_functions, runs, width_bits
 from .metrics import measures, reports
 from .model import BoolMatrix, cells_lookup, decode, encode, row_of, submatrix
@@ -254,9 +256,27 @@ def _cg(s: SparkSession, d: str) -> DataFrame:
 add("cg_normal", _cg, _cg_sql(2))
 
 # Measures -----------------------------------------------------------------------------------------------------------
-add("space_table", lambda s, d: measures.space_table({f: graphs.matrix(s, d, f) for f in ("F3", "F6", "F7")} | {"F10": graphs.matrix(s, d, "F10", True)}, mode="batched"))
+#: The matrices of the space tables.
+SURVEYED = ("F1", "F2", "F3", "F4", "F5", "F6", "F7", "F8", "F10")
+
+
+def _surveyed(s: SparkSession, d: str) -> dict[str, BoolMatrix]:
+    found = {f: graphs.matrix(s, d, f, f == "F10") for f in SURVEYED}
+    return {f: BoolMatrix(stored(m.df, f"space-{f}"), m.n_rows, m.n_cols) for f, m in found.items()}
+
+
+def _space_vs_blocks(s: SparkSession, d: str) -> DataFrame:
+    """Each matrix is measured and stored before the next: one plan of all would have a branch for every tile set."""
+    out = []
+    for f, m in _surveyed(s, d).items():
+        formats = tuple(x for x in (*COMPARED, "deflate", "lzma") if not m.valued or FORMATS[x].valued)
+        out.append(stored(measures.space_vs_blocks(m, formats).withColumn("dataset", F.lit(f)), f"space-blocks-{f}"))
+    return reduce(DataFrame.unionAll, out)
+
+
+add("space_table", lambda s, d: measures.space_table(_surveyed(s, d)))
 add("space_breakdown", lambda s, d: measures.space_report(encode(graphs.matrix(s, d, "F6"), "pg_folded", 1)))
-add("space_vs_blocks", lambda s, d: measures.space_vs_blocks(graphs.matrix(s, d, "F6"), ("quadbits", "pg_packed"), (1, 2, 4, 8), mode="batched"))
+add("space_vs_blocks", _space_vs_blocks)
 add("work_report_edgelist", lambda s, d: measures.work_report(encode(graphs.matrix(s, d, "F4"), "edgelist", 4)), f"WITH {edges_cte('F4')} SELECT 'touched' AS counter, count(*)::BIGINT AS n FROM e")
 add("product_error", lambda s, d: (lambda m: measures.product_error(plans.spmv(encode(m, "refcopy_prefix", 3), v1(m.n_cols, s), emit="nonzero"), plans.spmv_edges(m, v1(m.n_cols, s))))(graphs.matrix(s, d, "F6")), "SELECT 0.0::DOUBLE AS max_abs, 0.0::DOUBLE AS max_rel, 0::BIGINT AS only_one")
 add("byte_compressor_bits", lambda s, d: graphs.matrix(s, d, "F7").df.withColumn("all", F.lit(1)).groupBy("all").applyInArrow(byte_bits("deflate"), "bits bigint"))

@@ -96,3 +96,18 @@ def test_set_operators_and_full_join_over_whole_inputs(spark, sf, name):
         assert got.where("a IS NULL").count() and got.where("b IS NULL").count()
     else:
         assert got.count() == {"union_all": 2 * n, "except": 0, "except_all": 0}.get(name.removesuffix("_edges"), n)
+
+
+def test_space_tables_name_all_matrices_formats_and_counts(spark, sf, monkeypatch):
+    from boolmat import queries
+
+    assert queries.SURVEYED == ("F1", "F2", "F3", "F4", "F5", "F6", "F7", "F8", "F10")
+    monkeypatch.setattr(queries, "SURVEYED", ("F3", "F5"))
+    table = {r.dataset: r for r in QUERIES["space_table"](spark, sf).collect()}
+    exact = bits_per_edge(encode(matrix(spark, sf, "F3"), "pg_packed", 1)).first().bits_per_edge
+    assert set(table) == {"F3", "F5"} and table["F3"].pg_packed == exact and table["F5"].pg_packed > 0 and table["F5"].refcopy_stream is None
+    monkeypatch.setattr(queries, "SURVEYED", ("F3",))
+    got = {(r.dataset, r.format, r.blocks): r for r in QUERIES["space_vs_blocks"](spark, sf).collect()}
+    formats = ("pg_w32", "pg_packed", "pg_folded", "quadbits", "refcopy_stream", "deflate", "lzma")
+    assert set(got) == {("F3", f, b) for f in formats for b in (1, 2, 4, 8, 16, 24, 32, 40, 48)}
+    assert got["F3", "pg_packed", 1].bits_per_edge == exact and got["F3", "pg_packed", 1].inflation == 1
