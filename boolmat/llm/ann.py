@@ -90,7 +90,8 @@ class CollisionIndex:
                 seen[fresh] = True
                 if len(fresh) > 2 * k:  # a fast product only to leave out what is clearly worse
                     rough = self.vectors[fresh] @ query
-                    fresh = fresh[rough >= np.partition(rough, -k)[-k] - 1e-9 * np.sqrt(self.top * size2)]
+                    # one more than k, for the query's own row may be among them
+                    fresh = fresh[rough >= np.partition(rough, -k - 1)[-k - 1] - 1e-9 * np.sqrt(self.top * size2)]
                 # summed in order, so that equal vectors get equal scores in every block
                 scores = np.cumsum(self.vectors[fresh] * query, axis=1)[:, -1]
                 for i, s in zip(fresh, scores, strict=True):

@@ -109,6 +109,17 @@ def test_neighbours_recall_ties_and_odd_vectors(spark):
     assert ann.nearest(df.limit(0), df.limit(0)).count() == 0
 
 
+def test_own_row_takes_no_neighbours_place():
+    rng = np.random.default_rng(5)
+    v = rng.standard_normal((400, 8))
+    v /= np.linalg.norm(v, axis=1, keepdims=True)
+    index = ann.CollisionIndex(np.arange(400), v, reach=50.0, surety=50.0)  # the first windows hold the whole block
+    for i in range(0, 400, 20):
+        scores = v @ v[i]
+        scores[i] = -np.inf
+        assert [x for _, x in index.search(i, v[i], 5)] == np.argsort(-scores)[:5].tolist()
+
+
 def brute_stats(t):
     t = t or ""
     w = WORD.findall(t)
