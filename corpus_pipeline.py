@@ -21,9 +21,15 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group whose five-word shingles agree by 0.8 or more: the one with the smallest id."""
-    gone = minhash.near_duplicates(docs, size=5, percent=80).where(~F.col("kept")).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    """One document of each group whose five-word shingles agree by 0.8 or more: the one with the smallest id.
+
+    Every row is a document of its own: of rows with equal ids or without an id, copies go too. Ids come before null.
+    """
+    rows = written(docs.withColumn("__row", F.monotonically_increasing_id()), "near-rows")  # stored, so that the keys stay
+    groups = minhash.near_duplicates(rows.select(F.col("__row").alias("doc_id"), "text"), size=5, percent=80)
+    placed = written(groups.select(F.col("doc_id").alias("__row"), "component_id").join(rows.select("__row", "doc_id"), "__row"), "near-placed")
+    first = placed.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "__row"))["__row"].alias("__row"))
+    return rows.join(first.select("__row"), "__row", "left_semi").select(docs.columns)
 
 
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

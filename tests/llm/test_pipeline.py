@@ -27,3 +27,12 @@ def test_stages(spark, sf):
     assert all(not pii.base_spans(r.text) for r in out["pii"].collect())
     texts = sorted(hashlib.sha256(r.text.encode()).hexdigest() for r in out["mixing"].collect())
     assert texts == sorted(r.decoded_sha256 for r in docs.collect())
+
+
+def test_copies_with_equal_or_null_ids_go(spark):
+    text = lambda k: " ".join(f"w{k}x{i}" for i in range(40))
+    rows = [(7, text(0)), (7, text(0)), (None, text(0)), (9, text(0) + " tail"), (None, text(1)), (None, text(1)), (3, text(2)), (3, text(3)), (8, text(4)), (None, text(5))]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    got = corpus_pipeline.near_duplicate_stage(spark, docs, "")
+    want = [(7, text(0)), (None, text(1)), (3, text(2)), (3, text(3)), (8, text(4)), (None, text(5))]
+    assert got.columns == docs.columns and sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, want))
