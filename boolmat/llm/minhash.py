@@ -10,7 +10,7 @@
 4. Candidates are sifted by size and by the bits, then verified by intersecting full shingle sets.
 5. Components come from alternating large-star and small-star steps.
 
-bands x rows are chosen so that a pair at the threshold is missed with a probability of about 2e-7 and below.
+The number of bands follows from the threshold, so that a pair at it is missed with a probability of at most MISSED.
 
 Defined cases: a text without words (null, empty, blanks) has no shingles and links with nothing; fewer words than a
 shingle give one shingle of all words; equal ids are one node; a null id is a component of its own (null, kept).
@@ -19,6 +19,7 @@ shingle give one shingle of all words; equal ids are one node; a null id is a co
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import ceil, log, log1p
 
 import numpy as np
 import pyarrow as pa
@@ -27,8 +28,8 @@ from pyspark.sql import functions as F
 
 from .common import mixed, shingle_hashes, slices, text_buffers, written
 
-#: Bands and minima per band.
-BANDS, ROWS = 26, 5
+#: Bands (for 85 percent) and minima per band; the largest probability of missing a pair at the threshold.
+BANDS, ROWS, MISSED = 26, 5, 2.5e-7
 #: Open buckets of up to this many members are compared by a join; larger ones by blocks of so many members on each side.
 SMALL_BUCKET, ASKED, HELD = 32, 256, 1024
 #: Above this number of document ids a table of them is joined by a shuffle instead of a broadcast (16 bytes each).
@@ -36,6 +37,12 @@ BROADCAST_IDS = 1_000_000
 _SIGNATURE = "doc_id bigint, n bigint, f1 bigint, f2 bigint, bands array<bigint>, bits array<bigint>"
 
 
+def bands_for(percent: int, rows: int = ROWS) -> int:
+    """The fewest bands of `rows` minima that miss a pair at the threshold with a probability of at most MISSED."""
+    hit = (percent / 100) ** rows
+    return 1 if hit >= 1 else ceil(log(MISSED) / log1p(-hit))
+
+
 def _sets(raw: np.ndarray, offsets: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
     """(sorted distinct shingle hashes of all texts, first index per text and the end)."""
     base = offsets[0]
@@ -212,8 +219,9 @@ def connected(edges: DataFrame) -> DataFrame:
     return now.select(F.col("hi").alias("node"), F.col("lo").alias("root"))
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) for every row of docs."""
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: int | None = None, rows: int = ROWS) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept) for every row of docs. bands: by default those of bands_for()."""
+    bands = bands or bands_for(percent, rows)
     signed = written(signatures(docs, size, bands, rows), "near-signatures")
     classes = signed.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("doc"), F.any_value("bands").alias("bands"), F.any_value("bits").alias("bits"))
     classes = written(classes, "near-classes")

@@ -291,6 +291,18 @@ def test_near_duplicates_against_brute_force(spark, docs, bucket, monkeypatch):
     assert sorted((r.doc_id is None, r.component_id, r.kept) for r in lone if r.doc_id is not None) == [(False, 1, True)] and all(r.kept for r in lone)
 
 
+def test_bands_follow_from_the_threshold(spark, monkeypatch):
+    assert minhash.bands_for(85) == minhash.BANDS and minhash.bands_for(80) == 39
+    assert all((1 - (p / 100) ** 5) ** minhash.bands_for(p) <= 2.5e-7 for p in range(50, 100)) and minhash.bands_for(100) == 1
+    used = []
+    sign = minhash.signatures
+    monkeypatch.setattr(minhash, "signatures", lambda docs, size, bands, rows: used.append(bands) or sign(docs, size, bands, rows))
+    df = spark.createDataFrame([(1, "a b c"), (2, "a b c")], "doc_id bigint, text string")
+    for percent in (80, 85):
+        assert [r.kept for r in minhash.near_duplicates(df, 5, percent).orderBy("doc_id").collect()] == [True, False]
+    assert used == [39, 26]
+
+
 def test_connected_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 120), (120, 110), (110, 105)] + [(500, x) for x in range(501, 560)] + [(7, 7)]
     got = dict(minhash.connected(spark.createDataFrame(edges, "a bigint, b bigint")).collect())
