@@ -9,15 +9,19 @@ stated probability; so the recall does not depend on the size of the data.
 
 Inner product becomes distance: all vectors of a block get one more component that gives them equal length.
 
-Each block answers each query with its k best, which are merged. Queries come in blocks too; a query block meets every
-data block once, and nothing is broadcast.
+Each block answers each query with its k best, which are merged. A task first reads a block's vectors, builds the index
+once, and then streams the queries through it; it holds one block and one batch of queries. Every query meets every
+block: random directions in many dimensions leave no block out (see the README), so the work is queries times blocks.
 
-Defined cases: vectors that are null, empty, zero, of another length than the block's most frequent one, or hold null
-or non-finite components take no part; equal scores go to the smaller id; a query's own row (its id) is no candidate.
+Defined cases: vectors that are null, empty, zero, or hold null or non-finite components take no part; a query meets
+vectors of its own length only; equal scores go to the smaller id; a query's own row (its id) is no candidate; repeated
+query rows of one id and vector are one query, of one id and several vectors several with one ranking each.
 """
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
 from math import erf, sqrt
 
 import numpy as np
@@ -25,8 +29,6 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-_SCHEMA = "query_id bigint, vec_id bigint, score double"
-
 
 def usable(v: Column) -> Column:
     """Takes part: not null, all components finite numbers, not all zero."""
@@ -107,57 +109,74 @@ class CollisionIndex:
             width *= step
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "vec_id", embedding: str = "embedding", block: int = 16_384, query_block: int = 1_024, **index) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "vec_id", embedding: str = "embedding", block: int = 16_384, query_block: int = 256, **index) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k largest inner products over all vectors but its own row.
 
-    block, query_block: expected rows of a data and of a query block. Scores are double-precision products of the
+    block: expected rows of a data block; query_block: queries that are worth an index of their own. Scores are double-precision products of the
     original vectors.
     """
     def clean(df: DataFrame) -> DataFrame:
         return df.select(F.col(vec_id).cast("long").alias("id"), F.col(embedding).cast("array<double>").alias("v")).where(usable(F.col("v")) & F.col("id").isNotNull())
 
-    data, asked = clean(vectors), clean(queries)
+    data, asked = clean(vectors), clean(queries).distinct()
     n_data, n_asked = data.count(), asked.count()
-    blocks, asked_blocks = max(1, -(-n_data // block)), max(1, -(-n_asked // query_block))
-    data = data.withColumn("b", F.pmod(F.xxhash64("id", "v"), F.lit(blocks).cast("bigint")))
-    asked = asked.withColumn("q", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(asked_blocks).cast("bigint")))
-    # both sides' keys are bigint: numbers of different types would be dealt to different partitions
+    blocks = max(1, -(-n_data // block))
+    # a block is dealt to several tasks only where blocks are fewer than cores; each of them indexes it
+    shares = max(1, min(-(-vectors.sparkSession.sparkContext.defaultParallelism // blocks), -(-n_asked // query_block)))
     every = lambda n: F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(n - 1).cast("bigint")))
-    dealt = asked.withColumn("b", every(blocks)).select("b", "q", "id", "v")
-    held = data.withColumn("q", every(asked_blocks)).select("b", "q", "id", "v")
-    arrow = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
-
-    def table(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-        ids, lists = np.asarray(t.column("id")), t.column("v").combine_chunks()
-        sizes = np.diff(np.asarray(lists.offsets))
-        flat = np.asarray(lists.flatten())
-        return ids, sizes, flat
-
-    def search(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows or not right.num_rows:
-            return arrow.empty_table()
-        ids, sizes, flat = table(left)
-        q_ids, q_sizes, q_flat = table(right)
-        out: list[tuple[int, int, float]] = []
-        for width in np.unique(q_sizes):
-            own, theirs = sizes == width, q_sizes == width
-            if not own.any():
-                continue
-            made = CollisionIndex(ids[own], flat[np.repeat(own, sizes)].reshape(-1, width), **index)
-            for qid, q in zip(q_ids[theirs], q_flat[np.repeat(theirs, q_sizes)].reshape(-1, width), strict=True):
-                out += [(int(qid), x, s) for s, x in made.search(int(qid), q, k)]
-        return pa.table([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[], [], []], arrow.types, strict=True)], schema=arrow)
-
-    found = held.groupBy("b", "q").cogroup(dealt.groupBy("b", "q")).applyInArrow(search, _SCHEMA)
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))))
+    held = data.select(F.pmod(F.xxhash64("id", "v"), F.lit(blocks).cast("bigint")).alias("b"), every(shares).alias("q"), F.lit(0).alias("side"), "id", "v")
+    dealt = asked.select(every(blocks).alias("b"), F.pmod(F.xxhash64("id", "v", F.lit(3)), F.lit(shares).cast("bigint")).alias("q"), F.lit(1).alias("side"), "id", "v")
+    both = held.unionAll(dealt).withColumn("slot", (F.col("b") * shares + F.col("q")).cast("int"))
+    both = both.repartitionById(blocks * shares, F.col("slot")).sortWithinPartitions("slot", "side").select("slot", "side", "id", "v")
+    arrow = pa.schema([("query_id", pa.int64()), ("key", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        slot, parts, made = None, [], None
+        for batch in batches:
+            slots, sides = np.asarray(batch.column(0)), np.asarray(batch.column(1))
+            cuts = np.flatnonzero((slots[1:] != slots[:-1]) | (sides[1:] != sides[:-1])) + 1
+            for a, e in zip([0, *cuts], [*cuts, len(slots)]):
+                if a == e:
+                    continue
+                if slots[a] != slot:
+                    slot, parts, made = slots[a], [], None
+                ids, lists = np.asarray(batch.column(2).slice(a, e - a)), batch.column(3).slice(a, e - a)
+                if sides[a] == 0:
+                    parts.append((ids, lists))
+                    continue
+                made = indexes(parts, index) if made is None else made
+                out: list[tuple[int, int, int, float]] = []
+                for qid, q in zip(ids.tolist(), lists, strict=True):
+                    q = np.asarray(q.values, float)
+                    if len(q) in made:
+                        out += [(qid, digest(q), x, s) for s, x in made[len(q)].search(qid, q, k)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 4, arrow.types, strict=True)], schema=arrow)
+
+    found = both.mapInArrow(search, "query_id bigint, key bigint, vec_id bigint, score double")
+    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id", "key").orderBy(F.desc("score"), F.asc("vec_id"))))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
+def digest(vector: np.ndarray) -> int:
+    """Tells the vectors of one query id apart."""
+    return int.from_bytes(hashlib.blake2b(vector.tobytes(), digest_size=8).digest(), "little", signed=True)
+
+
+def indexes(parts: list[tuple[np.ndarray, pa.Array]], options: dict) -> dict[int, CollisionIndex]:
+    """One index per vector length of a block."""
+    if not parts:
+        return {}
+    ids, lists = np.concatenate([i for i, _ in parts]), [x for _, x in parts]
+    sizes = np.concatenate([np.diff(np.asarray(x.offsets)) for x in lists])
+    flat = np.concatenate([np.asarray(x.flatten()) for x in lists])
+    return {int(w): CollisionIndex(ids[sizes == w], flat[np.repeat(sizes == w, sizes)].reshape(-1, w), **options) for w in np.unique(sizes)}
+
+
 def nearest_exact(vectors: DataFrame, queries: DataFrame, k: int = 20, vec_id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
     """The same by comparing every pair in sequence order: the yardstick for recall on small tables."""
     data = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(embedding).cast("array<double>").alias("v")).where(usable(F.col("v")))
-    asked = queries.select(F.col(vec_id).cast("long").alias("query_id"), F.col(embedding).cast("array<double>").alias("w")).where(usable(F.col("w")))
+    asked = queries.select(F.col(vec_id).cast("long").alias("query_id"), F.col(embedding).cast("array<double>").alias("w")).where(usable(F.col("w")) & F.col("query_id").isNotNull()).distinct()
     pairs = asked.join(data, (F.col("query_id") != F.col("vec_id")) & (F.size("v") == F.size("w")))
-    scored = pairs.select("query_id", "vec_id", F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x).alias("score"))
-    ranked = scored.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))))
+    scored = pairs.select("query_id", "w", "vec_id", F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x).alias("score"))
+    ranked = scored.withColumn("rank", F.row_number().over(Window.partitionBy("query_id", "w").orderBy(F.desc("score"), F.asc("vec_id"))))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

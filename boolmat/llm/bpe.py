@@ -4,7 +4,7 @@ A text longer than a chunk is cut into chunks that overlap. Every chunk is split
 boundary of one chunk that is sure to hold meets a boundary of the next one, the two have resynchronised, because the
 pattern looks only forward; from there on the next chunk's boundaries are the text's. Each chunk then encodes the
 pieces between its two meeting points, and the text's ids are the chunks' ids in order. Where an overlap has no meeting
-point, the scan goes on over the whole text until there is one. Decoding concatenates the bytes of the ids.
+point, the scan goes on over the text until there is one. Decoding concatenates the bytes of the ids.
 
 Defined cases: a null or empty text has no ids, repeated rows each give a row, an empty table gives no rows.
 """
@@ -22,6 +22,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import written
+
 #: Characters of a chunk, and how many of them the next chunk repeats.
 CHUNK, OVERLAP = 65_536, 1_024
 #: A boundary is sure if this many characters of its chunk follow it: the pattern looks no further.
@@ -143,8 +145,9 @@ def stitched(text: str, cuts: list[tuple[int, int, list[int]]], split: regex.Pat
 def encode(docs: DataFrame, path: str, pattern: str, chunk: int = CHUNK, overlap: int = OVERLAP) -> DataFrame:
     """(doc_id, ids) for every row of (doc_id, text).
 
-    Texts of up to a chunk are encoded where they are read. Longer ones are exploded into chunks, whose pre-tokens are
-    found in parallel over the cluster; the chunks of a text meet in one task to be stitched and encoded.
+    Texts of up to a chunk are encoded where they are read. Longer ones are exploded into chunks that are dealt over the
+    cluster; each task finds the pre-tokens of its chunks. The boundaries of a text meet in one task, which only looks up
+    where chunks resynchronise. The stretches between the meeting points are dealt out again to be encoded.
     """
     schema = "doc_id bigint, ids array<int>"
     arrow = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))])
@@ -170,16 +173,28 @@ def encode(docs: DataFrame, path: str, pattern: str, chunk: int = CHUNK, overlap
         chunks = sorted(table.to_pylist(), key=lambda r: r["start"])
         text = "".join([r["part"][: chunk - overlap] for r in chunks[:-1]] + [chunks[-1]["part"]])
         cuts = [(r["start"], len(r["part"]), [r["start"] + e for e in r["ends"]]) for r in chunks]
-        ids = list(chain.from_iterable(t.encode_pieces([text[a:b] for a, b in zip(run, run[1:])]) for run in stitched(text, cuts, t.split)))
-        return pa.table({"doc_id": pa.array([chunks[0]["doc_id"]], pa.int64()), "ids": pa.array([ids], pa.list_(pa.int32()))})
+        found = [(k, text[run[0] : run[-1]], [b - run[0] for b in run]) for k, run in enumerate(stitched(text, cuts, t.split))]
+        n, first = len(found), chunks[0]
+        return pa.table([pa.array([first["doc_id"]] * n, pa.int64()), pa.array([first["row"]] * n, pa.int64()), *(pa.array([f[i] for f in found], kind) for i, kind in enumerate((pa.int32(), pa.string(), pa.list_(pa.int32()))))], names=["doc_id", "row", "k", "part", "bounds"])
+
+    def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = tokenizer(path, pattern)
+        for batch in batches:
+            for i in range(batch.num_rows):
+                text, bounds = batch.column(3)[i].as_py(), batch.column(4)[i].as_py()
+                ids = t.encode_pieces([text[a:b] for a, b in zip(bounds, bounds[1:])])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(i, 1) for c in range(3)), pa.array([ids], pa.list_(pa.int32()))], names=["doc_id", "row", "k", "ids"])
 
     long = rows.where(F.length("text") > chunk).withColumn("row", F.monotonically_increasing_id())
     begins = F.sequence(F.lit(0), F.length("text") - overlap - 1, F.lit(chunk - overlap))
     pieces = long.select("doc_id", "row", "text", F.explode(begins).alias("start")).select("doc_id", "row", "start", F.substring(F.col("text"), F.col("start") + 1, F.lit(chunk)).alias("part"))
-    # the row number only tells equal ids apart within this plan; it is made once, before the shuffle
-    marked = pieces.mapInArrow(marks, "doc_id bigint, row bigint, start int, part string, ends array<int>")
-    stitched_rows = marked.groupBy("doc_id", "row").applyInArrow(stitch, schema)
-    return rows.where(F.length("text") <= chunk).mapInArrow(short, schema).unionAll(stitched_rows)
+    # the row number only tells equal ids apart; the chunks are stored with it, so that it is drawn once
+    pieces = written(pieces, "chunks")
+    marked = pieces.repartition("row", "start").mapInArrow(marks, "doc_id bigint, row bigint, start int, part string, ends array<int>")
+    met = marked.groupBy("doc_id", "row").applyInArrow(stitch, "doc_id bigint, row bigint, k int, part string, bounds array<int>")
+    encoded = met.repartition("row", "k").mapInArrow(runs, "doc_id bigint, row bigint, k int, ids array<int>")
+    joined = encoded.groupBy("doc_id", "row").agg(F.sort_array(F.collect_list(F.struct("k", "ids"))).alias("runs")).select("doc_id", F.flatten(F.col("runs.ids")).alias("ids"))
+    return rows.where(F.length("text") <= chunk).mapInArrow(short, schema).unionAll(joined)
 
 
 def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
@@ -187,14 +202,14 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
     return _decoded(encoded, path, pattern, False)
 
 
-def digests(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
-    """(doc_id, n_tokens, ids_sha256, decoded_sha256): as decode, with a digest of the bytes in their place."""
-    return _decoded(encoded, path, pattern, True)
+def digests(encoded: DataFrame, path: str, pattern: str, with_ids: bool = False) -> DataFrame:
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256[, ids]): as decode, with a digest of the bytes in their place."""
+    return _decoded(encoded, path, pattern, True, with_ids)
 
 
-def _decoded(encoded: DataFrame, path: str, pattern: str, digest: bool) -> DataFrame:
+def _decoded(encoded: DataFrame, path: str, pattern: str, digest: bool, with_ids: bool = False) -> DataFrame:
     last = ("decoded_sha256", pa.string()) if digest else ("decoded", pa.binary())
-    arrow = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), last])
+    arrow = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), last, *([("ids", pa.list_(pa.int32()))] if with_ids else [])])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = tokenizer(path, pattern)
@@ -210,6 +225,6 @@ def _decoded(encoded: DataFrame, path: str, pattern: str, digest: bool) -> DataF
                     sums.append(hashlib.sha256(" ".join(map(decimal.__getitem__, ids)).encode()).hexdigest())
                     raw = t.decode(ids)
                     outs.append(hashlib.sha256(raw).hexdigest() if digest else raw)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(sums, pa.string()), pa.array(outs, last[1])], schema=arrow)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(sums, pa.string()), pa.array(outs, last[1]), *([lists] if with_ids else [])], schema=arrow)
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, f"doc_id bigint, n_tokens bigint, ids_sha256 string, {last[0]} {'string' if digest else 'binary'}")
+    return encoded.select("doc_id", "ids").mapInArrow(run, f"doc_id bigint, n_tokens bigint, ids_sha256 string, {last[0]} {'string' if digest else 'binary'}" + (", ids array<int>" if with_ids else ""))

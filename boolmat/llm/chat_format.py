@@ -6,7 +6,7 @@ between control strings that all begin with "<"; inside texts and roles the char
 the string can be read back. The loss mask is a list of code-point ranges that cover the assistants' escaped texts.
 
 Defined cases: a null text or role is empty, turns with equal numbers go by role and text, null turn numbers come
-first, null conversation ids form one conversation, repeated rows are repeated turns, an empty table gives no rows.
+first, null conversation ids form one conversation, a part of a kind that is not known keeps its text and reference, repeated rows are repeated turns, an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -24,8 +24,9 @@ _ESCAPED = {"\\": "\\\\", "<": "\\l", ">": "\\g"}
 _TABLE = str.maketrans(_ESCAPED)
 _BACK = {v: k for k, v in _ESCAPED.items()}
 _CODE = re.compile(r"\\[\\lg]")
-_TURN = re.compile(r"<turn ([^<>]*)>\n([^<>]*(?:<(?:image|audio|document):[0-9]+>[^<>]*)*)\n</turn>\n")
+_TURN = re.compile(r"<turn ([^<>]*)>\n([^<>]*(?:<(?:image|audio|document|other):[0-9]+>[^<>]*)*)\n</turn>\n")
 PARTS = "array<struct<kind:string,text:string,ref:string,width:int,height:int,seconds:double,pages:int>>"
+VISITED = ("text", "image", "audio", "document")
 FORMATTED = "conv_id bigint, formatted string, loss_spans array<struct<start:bigint,end:bigint>>, attachments array<struct<ordinal:int,kind:string,ref:string,turn:bigint,start:bigint,n_tokens:bigint>>, n_turns bigint, expanded_tokens bigint"
 _ARROW = pa.schema([
     ("conv_id", pa.int64()), ("formatted", pa.string()), ("loss_spans", pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))),
@@ -68,7 +69,8 @@ class PartVisitor:
     attachments: list[dict] = field(default_factory=list)
 
     def visit(self, part: dict, turn: int) -> str:
-        out = getattr(self, f"visit_{part.get('kind') or 'text'}", self.visit_text)(part, turn)
+        kind = part.get("kind") or "text"
+        out = (getattr(self, f"visit_{kind}") if kind in VISITED else self.visit_other)(part, turn)
         self.pos += len(out)
         return out
 
@@ -82,6 +84,15 @@ class PartVisitor:
 
     visit_image = visit_audio = visit_document = _attach
 
+    def visit_other(self, part: dict, turn: int) -> str:
+        """A kind that is not known: its text stays text, its reference is kept behind a placeholder of its own."""
+        text = self.visit_text(part, turn)
+        if part.get("ref") is None:
+            return text
+        ordinal = len(self.attachments)
+        self.attachments.append({"ordinal": ordinal, "kind": part["kind"], "ref": part["ref"], "turn": turn, "start": self.pos + len(text), "n_tokens": 1})
+        return f"{text}<other:{ordinal}>"
+
 
 class Conversation:
     """Takes the turns of one conversation in order and writes its string, loss ranges and attachments."""

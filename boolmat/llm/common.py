@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -22,9 +23,11 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir; only where that is unset, one of our own is set."""
+    """The folder all executors share: spark.checkpoint.dir. Unset, a local session gets one of our own; a cluster has to name it."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[[^,]*\])?$", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = tempfile.gettempdir() + "/checkpoints"
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -38,6 +41,29 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def remove_table(df: DataFrame) -> None:
+    """Deletes a table of written() that nothing reads any more."""
+    spark = df.sparkSession
+    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        if "/boolmat-" in path:
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def keyed_join(rows: DataFrame, side: DataFrame, keys: list[str], count: str, how: str = "inner", share: int = 1_000) -> DataFrame:
+    """Inner or left join of rows with side, which has one row per key; its column `count` says how many rows have the key.
+
+    Keys that hold at least one of `share` parts of all counted rows are at most `share` many, whatever the data: they are
+    broadcast, so no task meets all rows of one key. The other keys meet by a shuffle.
+    """
+    total = side.agg(F.sum(count)).first()[0] or 0
+    heavy = F.col(count) * share >= total
+    often = F.broadcast(side.where(heavy).select(*keys, F.lit(True).alias("__often")))
+    marked = rows.join(often, keys, "left")
+    few = marked.where("__often IS NULL").drop("__often").join(side.where(~heavy), keys, how)
+    return few.unionByName(marked.where("__often IS NOT NULL").drop("__often").join(F.broadcast(side.where(heavy)), keys))
+
+
 def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mixed, shingle_hashes, slices, text_buffers, written
+from .common import mixed, remove_table, shingle_hashes, slices, text_buffers, written
 
 #: Bands (for 85 percent) and minima per band; the largest probability of missing a pair at the threshold.
 BANDS, ROWS, MISSED = 26, 5, 2.5e-7
@@ -209,9 +209,11 @@ def connected(edges: DataFrame) -> DataFrame:
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("hi"), F.col("m").alias("lo")).where("hi <> lo").distinct()
         large = written(large, "cc")
+        remove_table(now)
         small_min = large.groupBy("hi").agg(F.min("lo").alias("m"))
         moved = large.join(small_min, "hi").where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo"))
         now = written(moved.unionAll(small_min.select("hi", F.col("m").alias("lo"))).distinct(), "cc")
+        remove_table(large)
         after = state(now)
         if after == before:
             break

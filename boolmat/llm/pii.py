@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -82,23 +83,36 @@ def base_spans(text: str) -> list[tuple[int, int, int]]:
     return sorted(out, key=lambda s: (s[0], s[2], s[1]))
 
 
+class _Intervals:
+    """Disjoint stretches that cover the given spans; tells by bisection whether a span overlaps none."""
+
+    def __init__(self, spans: list[tuple[int, int, int]]):
+        self.starts, self.ends = [], []
+        for s, e, _ in sorted(spans):
+            if self.ends and s < self.ends[-1]:
+                self.ends[-1] = max(self.ends[-1], e)
+            else:
+                self.starts.append(s)
+                self.ends.append(e)
+
+    def free(self, s: int, e: int) -> bool:
+        at = bisect_right(self.ends, s)
+        return at == len(self.ends) or self.starts[at] >= e
+
+
 def candidates(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Further spans that may be personal: none overlaps a base span or another."""
-    taken = [(s, e) for s, e, _ in base]
+    taken = _Intervals(base)
     out = []
-
-    def free(s: int, e: int) -> bool:
-        return all(e <= a or s >= b for a, b in taken)
-
     for m in _LONG.finditer(text):
         s, e = m.span()
         body = m[0]
-        if not body.isdigit() and any(c.isdigit() for c in body) and free(s, e):
+        if not body.isdigit() and any(c.isdigit() for c in body) and taken.free(s, e):
             out.append((s, e, 4))
-            taken.append((s, e))
+    taken = _Intervals(base + out)
     for m in _ISLAND.finditer(text):
         for d in _DIGITS.finditer(text, m.start(), m.end()):
-            if d.end() - d.start() >= 7 and 7 <= sum(map(str.isdigit, d[0])) <= 20 and free(*d.span()):
+            if d.end() - d.start() >= 7 and 7 <= sum(map(str.isdigit, d[0])) <= 20 and taken.free(*d.span()):
                 out.append((*d.span(), 5))
     return out
 

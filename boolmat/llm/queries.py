@@ -59,7 +59,7 @@ def op8_minhash_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = load(spark, sf_dir, "documents").select("doc_id", "text"), load(spark, sf_dir, "labels")
-    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0
+    held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False))  # a row without an id is not held out
     model = quality_model.fit(docs, labels.where(~held))
     scored = quality_model.score(docs, model)
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= model.place).cast("int").alias("predicted"))

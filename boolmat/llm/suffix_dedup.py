@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import POWERS, mixed, slices, text_buffers, written
+from .common import POWERS, keyed_join, mixed, slices, text_buffers, written
 
 GRAM = 24
 #: Offsets per cell, bytes per lane and per bucket of lanes.
@@ -308,8 +308,8 @@ def repeated_windows(docs: DataFrame, length: int) -> DataFrame:
     long = docs.where(F.octet_length("text") >= length).select("id0", "t", "text")
     marked = written(long.mapInArrow(anchors, "id0 bigint, t bigint, hs array<bigint>"), "anchors")
     flat = marked.select("id0", "t", F.posexplode("hs").alias("i", "h"))
-    common = marked.select(F.explode("hs").alias("h")).groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
-    chosen = flat.join(common, "h", "left_semi").groupBy("id0", "t").agg(F.array_distinct(F.collect_list("i")).alias("runs"))
+    common = written(marked.select(F.explode("hs").alias("h")).groupBy("h").agg(F.count("*").alias("n")).where("n > 1"), "common")
+    chosen = keyed_join(flat, common, ["h"], "n").groupBy("id0", "t").agg(F.array_distinct(F.collect_list("i")).alias("runs"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kind = pa.struct([("c", pa.int64()), ("s", pa.int64()), ("lo", pa.int64()), ("n", pa.int32())])
@@ -351,9 +351,11 @@ def repeated_windows(docs: DataFrame, length: int) -> DataFrame:
     found = bodies.withColumn("bucket", F.pmod("lane", F.lit(buckets))).groupBy("bucket").applyInArrow(lambda t: sort_bucket(t.drop(["bucket"]), length, buckets), _FOUND_SQL)
     found = written(found, "found")
     across = found.where("slot IS NOT NULL").groupBy("slot").applyInArrow(meet_lanes, "c bigint, s bigint, a int, b int")
-    whole = kinds.where("weight > 1").select("c", "s", F.lit(0).alias("a"), (F.col("r.n") - 1).cast("int").alias("b"))
-    flags = found.where("slot IS NULL").select("c", "s", "a", "b").unionAll(across).unionAll(whole)
-    hits = flat.join(flags, ["c", "s"]).select("id0", "t", (F.col("lo") + F.col("a")).alias("start"), (F.col("lo") + F.col("b") + 1).alias("end"))
+    parts = found.where("slot IS NULL").select("c", "s", "a", "b").unionAll(across)
+    # a piece that stands once can recur in parts only; the others recur as a whole
+    once = flat.join(parts.join(kinds.where("weight = 1").select("c", "s"), ["c", "s"]), ["c", "s"])
+    whole = kinds.where("weight > 1").select("c", "s", "weight", F.lit(0).alias("a"), (F.col("r.n") - 1).cast("int").alias("b"))
+    hits = once.unionByName(keyed_join(flat, whole, ["c", "s"], "weight").drop("weight")).select("id0", "t", (F.col("lo") + F.col("a")).alias("start"), (F.col("lo") + F.col("b") + 1).alias("end"))
     return hits.groupBy("id0", "t").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
 
 

@@ -1,12 +1,13 @@
 """WARC archives: pages are written as request, response (or revisit) and metadata records, and read back as captures.
 
 Writing is a DataFrame plan that ends in Spark's own text writer, whose line separator is the blank line that closes a
-record, so archives land in any store that Spark can write. Reading takes whole archives of bounded length, parses them
-record by record, and joins the three records of a capture through their concurrent-to identifiers.
+record, so archives land in any store that Spark can write. Reading takes whole archives, parses them record by record,
+and joins the three records of a capture through their concurrent-to identifiers. An archive holds a bounded number of
+records and has to stay below 2 GB compressed, the most that one value holds.
 
 Defined cases: a null payload is empty, a null url gives no target header, equal payloads keep one full response (the
 largest page_id; rows that tie on it are all responses), a null page_id is smaller than any, rows that are repeated in
-all they hold give one capture each, an empty table gives an archive without records and no captures.
+all they hold give one capture each, a capture without metadata has no page_id, an empty table gives an archive without records and no captures.
 """
 
 from __future__ import annotations
@@ -22,11 +23,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_dir
+from .common import keyed_join, shared_dir, written
 
 #: Records per archive file: bounds what a reader takes into memory at once.
 RECORDS_PER_FILE = 3_000
-#: Above this number of repeated payloads their table is joined by a shuffle instead of a broadcast (about 100 bytes each).
+#: Up to this number of repeated payloads (about 100 bytes each) their table is broadcast; beyond it only frequent ones.
 BROADCAST_PAYLOADS = 100_000
 CRLF = "\r\n"
 #: Fixed value: the profile of revisits with an equal payload.
@@ -57,23 +58,20 @@ def page_records(pages: DataFrame, date: str = "2024-01-01T00:00:00Z") -> DataFr
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), url.alias("url"), F.coalesce(F.col("html"), F.lit("")).alias("html"))
     rows = rows.withColumn("same", F.sha2("html", 256)).withColumn("digest", base32_sha1(F.col("html")))
     key = lambda page, link, digest: F.concat_ws("|", F.coalesce(page.cast("string"), F.lit("null")), F.coalesce(link, F.lit("null")), digest)
-    first = rows.groupBy(F.col("same").alias("w_same")).agg(F.max(F.struct("page_id", "url")).alias("kept"), F.count("*").alias("n")).where("n > 1").where("kept.page_id IS NOT NULL").drop("n").cache()
-    try:
-        side = F.broadcast(first) if first.count() <= BROADCAST_PAYLOADS else first
-        joined = rows.join(side, F.col("same") == F.col("w_same"), "left")
-        revisit = F.col("kept").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("kept.page_id"))
-        own = key(F.col("page_id"), F.col("url"), F.col("digest"))
-        response_id, target = _urn("response", own), F.col("url")
-        refers = F.when(revisit, _urn("response", key(F.col("kept.page_id"), F.col("kept.url"), F.col("digest"))))
-        http = F.concat(F.lit(f"HTTP/1.1 200 OK{CRLF}Content-Type: text/html; charset=utf-8{CRLF}Content-Length: "), F.octet_length("html").cast("string"), F.lit(CRLF + CRLF))
-        when = F.lit(date)
-        response = _record([("WARC-Type", F.when(revisit, "revisit").otherwise("response")), ("WARC-Record-ID", response_id), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("digest"))), ("WARC-Profile", F.when(revisit, PROFILE)), ("WARC-Refers-To", refers), ("Content-Type", F.lit("application/http; msgtype=response"))], F.concat(http, F.when(revisit, "").otherwise(F.col("html"))))
-        request = _record([("WARC-Type", F.lit("request")), ("WARC-Record-ID", _urn("request", own)), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Concurrent-To", response_id), ("Content-Type", F.lit("application/http; msgtype=request"))], F.concat(F.lit("GET "), F.coalesce(target, F.lit("/")), F.lit(f" HTTP/1.1{CRLF}{CRLF}")))
-        about = F.concat(F.lit("pageId: "), F.coalesce(F.col("page_id").cast("string"), F.lit("")), F.lit(CRLF))
-        metadata = _record([("WARC-Type", F.lit("metadata")), ("WARC-Record-ID", _urn("metadata", own)), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Concurrent-To", response_id), ("Content-Type", F.lit("application/warc-fields"))], about)
-        return joined.select(F.explode(F.array(request, response, metadata)).alias("value"))
-    finally:
-        first.unpersist()
+    first = rows.groupBy("same").agg(F.max(F.struct("page_id", "url")).alias("kept"), F.count("*").alias("n")).where("n > 1 AND kept.page_id IS NOT NULL")
+    first = written(first, "payloads")
+    joined = rows.join(F.broadcast(first), "same", "left") if first.count() <= BROADCAST_PAYLOADS else keyed_join(rows, first, ["same"], "n", "left")
+    revisit = F.col("kept").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("kept.page_id"))
+    own = key(F.col("page_id"), F.col("url"), F.col("digest"))
+    response_id, target = _urn("response", own), F.col("url")
+    refers = F.when(revisit, _urn("response", key(F.col("kept.page_id"), F.col("kept.url"), F.col("digest"))))
+    http = F.concat(F.lit(f"HTTP/1.1 200 OK{CRLF}Content-Type: text/html; charset=utf-8{CRLF}Content-Length: "), F.octet_length("html").cast("string"), F.lit(CRLF + CRLF))
+    when = F.lit(date)
+    response = _record([("WARC-Type", F.when(revisit, "revisit").otherwise("response")), ("WARC-Record-ID", response_id), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("digest"))), ("WARC-Profile", F.when(revisit, PROFILE)), ("WARC-Refers-To", refers), ("Content-Type", F.lit("application/http; msgtype=response"))], F.concat(http, F.when(revisit, "").otherwise(F.col("html"))))
+    request = _record([("WARC-Type", F.lit("request")), ("WARC-Record-ID", _urn("request", own)), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Concurrent-To", response_id), ("Content-Type", F.lit("application/http; msgtype=request"))], F.concat(F.lit("GET "), F.coalesce(target, F.lit("/")), F.lit(f" HTTP/1.1{CRLF}{CRLF}")))
+    about = F.concat(F.lit("pageId: "), F.coalesce(F.col("page_id").cast("string"), F.lit("")), F.lit(CRLF))
+    metadata = _record([("WARC-Type", F.lit("metadata")), ("WARC-Record-ID", _urn("metadata", own)), ("WARC-Target-URI", target), ("WARC-Date", when), ("WARC-Concurrent-To", response_id), ("Content-Type", F.lit("application/warc-fields"))], about)
+    return joined.select(F.explode(F.array(request, response, metadata)).alias("value"))
 
 
 def write_archives(pages: DataFrame, path: str | None = None, records_per_file: int = RECORDS_PER_FILE, date: str = "2024-01-01T00:00:00Z") -> str:
@@ -159,9 +157,10 @@ def assemble(records: DataFrame) -> DataFrame:
 
 def page_captures(captures: DataFrame) -> DataFrame:
     """(page_id, payload_bytes, payload_digest, record_type, refers_to, digest_ok) per capture; refers_to as a page_id."""
-    page = F.regexp_extract(F.col("metadata")[0]["fields"], r"pageId: (-?[0-9]+)", 1)
+    page = F.regexp_extract(F.get("metadata", F.lit(0))["fields"], r"pageId: (-?[0-9]+)", 1)
     rows = captures.select("capture_id", F.when(page != "", page.cast("long")).alias("page_id"), F.col("response.payload_bytes").alias("payload_bytes"), F.col("response.payload_digest").alias("payload_digest"), F.col("response.warc_type").alias("record_type"), F.col("response.refers_to").alias("original"), F.col("response.digest_ok").alias("digest_ok"))
     revisits, kept = rows.where("record_type = 'revisit'"), rows.where("record_type = 'response'")
-    named = kept.select(F.col("capture_id").alias("original"), F.col("page_id").alias("refers_to")).distinct()
+    asked = revisits.groupBy("original").agg(F.count("*").alias("n"))
+    named = kept.groupBy(F.col("capture_id").alias("original")).agg(F.max("page_id").alias("refers_to")).join(asked, "original")
     out = ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "digest_ok"]
-    return kept.withColumn("refers_to", F.lit(None).cast("long")).select(out).unionAll(revisits.join(named, "original", "left").select(out))
+    return kept.withColumn("refers_to", F.lit(None).cast("long")).select(out).unionAll(keyed_join(revisits, written(named, "originals"), ["original"], "n", "left").select(out))

@@ -373,3 +373,87 @@ def test_whole_copies_sum_over_many_blocks(spark):
     rows = mixing.mix(df, block=16).groupBy("source").agg(F.sum("taken").alias("t"), F.first("target").alias("goal"), F.sum("size").alias("s"), F.sum("copies").alias("c"), F.count("*").alias("n")).collect()
     for r in rows:
         assert abs(r.t - r.goal) / r.goal < 0.02 and abs(r.c - r.n * r.goal / r.s) <= 1
+
+
+def test_repeated_rows_are_mixed_one_by_one(spark):
+    words = " ".join(["w"] * 100)
+    rows = [(1, words, "a")] * 1000 + [(2, words, "b")] * 1000 + [(i, words, "c") for i in range(10, 1010)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string").repartition(5)
+    got = mixing.mix(df)
+    for r in got.groupBy("source").agg(F.sum("taken").alias("taken"), F.first("target").alias("target"), F.count("*").alias("n")).collect():
+        assert r.n == 1000 and abs(r.taken - r.target) <= 100
+    copies = mixing.mixed_documents(df).groupBy("source").count().collect()
+    want = {r.source: r.c for r in got.groupBy("source").agg(F.sum("copies").alias("c")).collect()}
+    assert {r.source: r["count"] for r in copies} == want
+    some = spark.createDataFrame([(7, "one two", "a")], "doc_id bigint, text string, source string").withColumn("n", F.lit(25_000).cast("long"))
+    assert mixing._spread(some, "n").count() == 25_000
+
+
+def test_targets_over_many_sources(spark):
+    rng = random.Random(8)
+    sizes = {f"s{i:04d}": rng.randint(0, 40) for i in range(500)} | {None: 17}
+    df = spark.createDataFrame(list(sizes.items()), "source string, size bigint")
+    got = {r.source: r.target for r in mixing.source_targets(df).collect()}
+    want = brute_targets(sizes)
+    assert got.keys() == want.keys() and all(abs(got[s] - want[s]) < 1e-6 for s in want)
+
+
+def test_a_repeated_query_is_one_query(spark):
+    rng = np.random.default_rng(1)
+    rows = [(i, rng.standard_normal(8).tolist()) for i in range(200)] + [(20, None), (40, [1.0] * 8)]
+    df = spark.createDataFrame([*rows, rows[20]], "vec_id bigint, embedding array<double>")
+    asked = df.where("vec_id % 20 = 0")
+    got = ann.nearest(df, asked, 5).groupBy("query_id").agg(F.sort_array(F.collect_list("rank")).alias("ranks")).collect()
+    want = {i: [1, 2, 3, 4, 5] for i in range(0, 200, 20)} | {40: [1, 1, 2, 2, 3, 3, 4, 4, 5, 5]}  # 40 has two vectors
+    assert {r.query_id: r.ranks for r in got} == want
+
+
+def test_spans_of_a_long_log_take_linear_time():
+    import time
+
+    line = "10.0.0.1 user@host.org 555-123-4567 token=ab12cd34ef56ab78cd90ef12 "
+    text = line * 20_000
+    began = time.perf_counter()
+    base = pii.base_spans(text)
+    found = pii.candidates(text, base)
+    assert len(base) == 40_000 and len(found) == 40_000 and time.perf_counter() - began < 30
+    taken = [(s, e) for s, e, _ in base[:200]]
+    assert all(e <= a or s >= b for s, e, _ in found[:200] for a, b in taken)
+
+
+def test_a_capture_without_metadata(spark, tmp_path):
+    df = spark.createDataFrame([(1, "http://a", "x"), (2, "http://b", "x")], "page_id bigint, url string, html string")
+    records = warc.read_records(spark, warc.write_archives(df, str(tmp_path / "m"))).where("warc_type <> 'metadata'")
+    got = warc.page_captures(warc.assemble(records)).collect()
+    assert sorted(r.record_type for r in got) == ["response", "revisit"] and all(r.page_id is None for r in got)
+
+
+def test_a_part_of_unknown_kind_keeps_its_reference(spark):
+    parts = [{"kind": "video", "ref": "v1", "text": "clip <"}, {"kind": "text", "text": "ok"}, {"kind": "add", "text": "t"}]
+    df = spark.createDataFrame([(1, 0, "user", [{k: p.get(k) for k in ("kind", "text", "ref", "width", "height", "seconds", "pages")} for p in parts])], f"conv_id bigint, turn bigint, role string, parts {chat_format.PARTS}")
+    row = chat_format.format_conversations(df).first()
+    assert [(a.kind, a.ref) for a in row.attachments] == [("video", "v1")] and chat_format.parse_formatted(row.formatted) == [("user", "clip <<other:0>okt")]
+
+
+def test_joins_with_frequent_keys(spark):
+    from boolmat.llm.common import keyed_join
+
+    rows = spark.createDataFrame([(1, i) for i in range(3000)] + [(k, k) for k in range(2, 2000)] + [(None, -1)], "k bigint, x bigint")
+    side = rows.where("k < 1000").groupBy("k").agg(F.count("*").alias("n"))
+    for how in ("inner", "left"):
+        got, want = keyed_join(rows, side, ["k"], "n", how), rows.join(side, "k", how)
+        assert sorted(map(str, got.select("k", "x", "n").collect())) == sorted(map(str, want.select("k", "x", "n").collect()))
+
+
+@pytest.mark.parametrize("lane", [16_000, 2_000])
+def test_suffix_dedup_over_several_buckets(spark, monkeypatch, lane):
+    """Passages shared by many documents, dealt to several buckets and lanes."""
+    monkeypatch.setattr(suffix_dedup, "LANE", lane)
+    monkeypatch.setattr(suffix_dedup, "BUCKET", 20_000)
+    rng = random.Random(5)
+    say = lambda k: " ".join(rng.choice(["ab", "cde", "fé", "ghij"]) + str(rng.randint(0, 999)) for _ in range(k))
+    passages = [say(60) for _ in range(12)]
+    pool = [f"{say(rng.randint(0, 40))} {rng.choice(passages)} {say(rng.randint(0, 40))}" for _ in range(500)] + [passages[0]] * 200
+    df = spark.createDataFrame(list(enumerate(pool)), "doc_id bigint, text string").repartition(6)
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(df, 100).collect())
+    assert got == [(i, *x) for i, x in enumerate(brute_repeats(pool, 100))]
