@@ -132,7 +132,12 @@ def votes(text: str, span: tuple[int, int, int]) -> tuple[int, ...]:
     near = [w.lower() for w in _WORD.findall(before)[-3:]]
     digits = _NOT_DIGIT.sub("", body)
     if kind < 4:
-        strict = {0: body.rpartition(".")[2].isalpha(), 1: not any(p != "0" and p.startswith("0") for p in body.split(".")), 2: digits[0] in "3456", 3: digits[0] != "0"}[kind]
+        if kind == 0:
+            strict = body.rpartition(".")[2].isalpha()
+        elif kind == 1:
+            strict = not any(p != "0" and p.startswith("0") for p in body.split("."))
+        else:
+            strict = digits[0] in "3456" if kind == 2 else digits[0] != "0"
         shape, exact = 1, 1 if strict else -1
     elif kind == 4:
         hexa = all(c in "0123456789abcdefABCDEF" for c in body)

@@ -173,15 +173,12 @@ def learn_rules(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, **
 
 
 def apply_rules(docs: DataFrame, rules: DecisionList) -> DataFrame:
-    """docs, their statistics, base_failed and kept (false if base_failed, else the list's verdict)."""
-    return text_stats(docs).withColumn("base_failed", base_failed()).withColumn("kept", ~F.col("base_failed") & rules.keeps())
+    """docs, their statistics, base_failed and kept (false if base_failed, else the list's verdict).
 
-
-def kept_rows(judged: DataFrame, row: str = "row") -> DataFrame:
-    """The struct column `row` of the rows of apply_rules() that are kept.
-
-    A filter on `kept` would be pushed below the statistics, with all they are made of copied into it once per use. The
-    generator of one element stands in its way.
+    A filter on any of these would be pushed below the statistics, with all they are made of copied into it once per use.
+    The generator of one element stands in its way.
     """
-    one = judged.select(F.explode(F.array(F.struct(F.col(row).alias("row"), F.col("kept").alias("kept")))).alias("judged"))
-    return one.where("judged.kept").select("judged.row.*")
+    made = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", *FEATURES[1:], "base_failed", "kept"]
+    judged = text_stats(docs).withColumn("base_failed", base_failed()).withColumn("kept", ~F.col("base_failed") & rules.keeps())
+    untouched = [F.col(f"`{c}`") for c in docs.columns if c not in made]
+    return judged.select(*untouched, F.explode(F.array(F.struct(*made))).alias("__judged")).select(*untouched, "__judged.*")

@@ -457,3 +457,9 @@ def test_suffix_dedup_over_several_buckets(spark, monkeypatch, lane):
     df = spark.createDataFrame(list(enumerate(pool)), "doc_id bigint, text string").repartition(6)
     got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(df, 100).collect())
     assert got == [(i, *x) for i, x in enumerate(brute_repeats(pool, 100))]
+
+
+def test_votes_on_spans_without_digits():
+    text = "write to jo@host.example.org now"
+    (span,) = pii.base_spans(text)
+    assert len(pii.votes(text, span)) == len(pii.LABELERS) and len(pii.properties(text, span)) == 6
