@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator, Sequence
@@ -28,9 +29,11 @@ def register_views(spark: SparkSession, sf_dir: str) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; only where that is unset, one of our own is set."""
+    """The folder in spark.checkpoint.dir. Unset, a local session gets one of our own; a cluster has to name it."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.match(r"local(\[[^,]*\])?$", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = tempfile.gettempdir() + "/checkpoints"
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")

@@ -17,7 +17,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     """Documents that neither the base rule nor the learned decision list rejects."""
     rules = quality_rules.learn_rules(docs, load(spark, sf_dir, "labels"))
     rows = docs.select("text", F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    return quality_rules.kept_rows(quality_rules.apply_rules(rows, rules))
+    return quality_rules.apply_rules(rows, rules).where("kept").select("row.*")
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,11 +43,11 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def encoding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of every row."""
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256, ids) of every row: the token ids to train on, and their digests."""
     import public_tokenizers
 
     vocabulary = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
-    return bpe.digests(bpe.encode(docs, *vocabulary), *vocabulary)
+    return bpe.digests(bpe.encode(docs, *vocabulary), *vocabulary, with_ids=True)
 
 
 STAGES = [("quality_rules", quality_stage), ("minhash_near_dedup", near_duplicate_stage), ("pii", pii_stage), ("mixing", mixing_stage), ("byte_bpe", encoding_stage)]
