@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import ann, bpe, chat_format, minhash, mixing, pii, quality_model, quality_rules, suffix_dedup, warc
@@ -57,9 +57,14 @@ def op8_minhash_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(load(spark, sf_dir, "documents"), size=3, percent=85)
 
 
+def held_out() -> Column:
+    """A fifth of the ids; a row without an id is not held out."""
+    return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False))
+
+
 def op9_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = load(spark, sf_dir, "documents").select("doc_id", "text"), load(spark, sf_dir, "labels")
-    held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(False))  # a row without an id is not held out
+    held = held_out()
     model = quality_model.fit(docs, labels.where(~held))
     scored = quality_model.score(docs, model)
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= model.place).cast("int").alias("predicted"))
@@ -69,6 +74,27 @@ def op10_pivotal_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(load(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def pii_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op2 gives without its learned part."""
+    return pii.find_spans(load(spark, sf_dir, "documents"), None).select("doc_id", "n_email", "n_ip", "n_card", "n_phone")
+
+
+def base_text_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op4 gives without its learned part."""
+    judged = quality_rules.apply_rules(load(spark, sf_dir, "documents").select("doc_id", "text"), quality_rules.DecisionList(()))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
+
+
+def quality_hold_out(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which documents op9 learns nothing from."""
+    return load(spark, sf_dir, "documents").select("doc_id", held_out().alias("held_out"))
+
+
+def mixing_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What op10 gives without its random part."""
+    return mixing.mix(load(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", F.round("target", 6).alias("target"))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -76,5 +102,5 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_chat_formatting, op2_weakly_supervised_pii, op3_collision_counting_neighbours, op4_decision_list_rules, op5_suffix_array_dedup, op6_warc_transactions, op7_byte_bpe, op8_minhash_near_duplicates, op9_pairwise_quality, op10_pivotal_mixing, pipeline]
+    found = [op1_chat_formatting, op2_weakly_supervised_pii, op3_collision_counting_neighbours, op4_decision_list_rules, op5_suffix_array_dedup, op6_warc_transactions, op7_byte_bpe, op8_minhash_near_duplicates, op9_pairwise_quality, op10_pivotal_mixing, pipeline, pii_base_counts, base_text_statistics, quality_hold_out, mixing_targets]
     return {f.__name__: f for f in found}
