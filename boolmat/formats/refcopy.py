@@ -96,6 +96,103 @@ class _Reader:
         return offset, sorted(copied + more), dropped
 
 
+def _spread(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """starts[i], starts[i] + 1, ... counts[i] numbers for each i."""
+    return np.repeat(starts - np.cumsum(counts) + counts, counts) + np.arange(int(counts.sum()))
+
+
+def _chained(first: np.ndarray, steps: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Running sums within lists of counts[i] numbers; list i starts at first[i]; the first step of each is not used."""
+    begin = np.cumsum(counts) - counts
+    full = counts > 0
+    steps = steps.copy()
+    steps[begin[full]] = 0
+    total = np.cumsum(steps)
+    return total - np.repeat(total[begin[full]] - first[full], counts[full])
+
+
+class Differences:
+    """All rows of a tile as what they copy, drop and add. Lists are flat with counts per row."""
+
+    def __init__(self, numbers: np.ndarray, n_rows: int, min_run: int):
+        v, at = numbers.tolist(), 0
+        fields = np.zeros((n_rows, 6), np.int64)  # degree, offset, first run, runs, first stretch, first gap
+        more = np.zeros((n_rows, 2), np.int64)  # stretches, gaps
+        for i in range(n_rows):  # a few steps per row; the lists themselves are taken as arrays below
+            degree, offset = v[at], v[at + 1]
+            at, runs, copied, first_run = at + 2, 0, 0, 0
+            if offset:
+                runs, first_run = v[at], at + 1
+                at = first_run + runs
+                copied = sum(v[first_run:at:2])
+            stretches, first_stretch = v[at], at + 1
+            at = first_stretch + 2 * stretches
+            gaps = degree - copied - sum(v[first_stretch + 1 : at : 2]) - stretches * min_run
+            fields[i], more[i] = (degree, offset, first_run, runs, first_stretch, at), (stretches, gaps)
+            at += gaps
+        own = np.arange(n_rows)
+        self.degree, offset = fields[:, 0], fields[:, 1]
+        self.ref = own - offset
+        self.depth = np.zeros(n_rows, np.int64)
+        back = np.flatnonzero(offset)
+        while len(back):  # a row is one deeper than its reference; chains are short
+            deeper = self.depth[self.ref[back]] + 1
+            changed = deeper != self.depth[back]
+            self.depth[back] = deeper
+            if not changed.any():
+                break
+        unzig = lambda g: (g >> 1) ^ -(g & 1)
+        n = more[:, 0]
+        spots = _spread(fields[:, 4], 2 * n)[::2] if n.any() else np.zeros(0, np.int64)
+        g, length = numbers[spots], numbers[spots + 1] + min_run
+        before = np.concatenate([[0], length[:-1]]) if len(length) else length
+        begin = np.cumsum(n) - n
+        start = _chained(np.where(n > 0, own + unzig(g[np.minimum(begin, max(0, len(g) - 1))]) if len(g) else own, 0), g + before + 1, n) if len(g) else g
+        columns = [_spread(start, length)]
+        rows = [np.repeat(np.repeat(own, n), length)]
+        m = more[:, 1]
+        g = numbers[_spread(fields[:, 5], m)]
+        begin = np.cumsum(m) - m
+        if len(g):
+            columns.append(_chained(np.where(m > 0, own + unzig(g[np.minimum(begin, len(g) - 1)]), 0), g + 1, m))
+            rows.append(np.repeat(own, m))
+        rows, columns = np.concatenate(rows), np.concatenate(columns)
+        order = np.lexsort((columns, rows))
+        self.added = rows[order], columns[order]
+        self._copy(numbers, fields)
+
+    def _copy(self, numbers: np.ndarray, fields: np.ndarray) -> None:
+        """Fills the whole lists depth by depth, and what each row drops of its reference."""
+        n_rows = len(self.degree)
+        self.first = np.concatenate([[0], np.cumsum(self.degree)])
+        self.columns = np.zeros(int(self.first[-1]), np.int64)
+        per_row = np.bincount(self.added[0], minlength=n_rows)
+        of_row = np.cumsum(per_row) - per_row
+        dropped: list[tuple[np.ndarray, np.ndarray]] = []
+        for d in range(int(self.depth.max(initial=0)) + 1):
+            at = np.flatnonzero(self.depth == d)
+            more = _spread(of_row[at], per_row[at])
+            rows, cols = self.added[0][more], self.added[1][more]
+            if d:
+                n = fields[at, 3]
+                spots = _spread(fields[at, 2], n)
+                lengths = numbers[spots]
+                kept = (np.arange(len(spots)) - np.repeat(np.cumsum(n) - n, n)) % 2 == 0
+                have = self.degree[self.ref[at]]
+                used = np.bincount(np.repeat(np.arange(len(at)), n), lengths, minlength=len(at)).astype(np.int64)
+                # the flags of a row's runs, then the skipped end of its reference
+                flags = np.zeros(int(have.sum()), bool)
+                flags[_spread(np.cumsum(have) - have, used)] = np.repeat(kept, lengths)
+                theirs = self.columns[_spread(self.first[self.ref[at]], have)]
+                mine = np.repeat(at, have)
+                dropped.append((mine[~flags], theirs[~flags]))
+                rows, cols = np.concatenate([rows, mine[flags]]), np.concatenate([cols, theirs[flags]])
+                order = np.lexsort((cols, rows))
+                rows, cols = rows[order], cols[order]
+            self.columns[_spread(self.first[at], self.degree[at])] = cols
+        self.dropped = tuple(np.concatenate([x[k] for x in dropped]) if dropped else np.zeros(0, np.int64) for k in (0, 1))
+
+
 class RefCopy(Format):
     """opts: window (0: no copying), max_depth, min_run."""
 
@@ -131,28 +228,19 @@ class RefCopy(Format):
             parts["data"] = fold_encode_best(values)
         return parts, {"numbers": len(values), "diffs": diffs, "copied_rows": sum(x > 0 for x in depth), "touched": diffs}
 
-    def _numbers(self, parts: Parts) -> list[int]:
+    def differences(self, parts: Parts, n_rows: int) -> Differences:
         if self.coding == "stream":
-            return fold_decode(parts["data"]).tolist()
-        reader = PrefixReader(parts["data"])
-        return reader.read(0, reader.count)[0]
-
-    def rows(self, parts: Parts, n_rows: int) -> tuple[list[int], list[list[int]], list[list[int]]]:
-        """(offset of the reference, columns, dropped columns) of every row."""
-        numbers = iter(self._numbers(parts))
-        reader = _Reader(lambda: next(numbers), from_header(parts["head"])[1])
-        offsets, lists, drops = [], [], []
-        for i in range(n_rows):
-            o, row, dropped = reader.row(i, lists.__getitem__)
-            offsets.append(o)
-            lists.append(row)
-            drops.append(dropped)
-        return offsets, lists, drops
+            numbers = fold_decode(parts["data"])
+        else:
+            reader = PrefixReader(parts["data"])
+            numbers = np.array(reader.read(0, reader.count)[0], np.int64)
+        return Differences(np.asarray(numbers, np.int64), n_rows, from_header(parts["head"])[1])
 
     def row_of(self, parts: Parts, n_rows: int, i: int) -> list[int]:
         """One row: with prefix codes only its own chain of references is read."""
         if self.coding == "stream":
-            return self.rows(parts, n_rows)[1][i]
+            d = self.differences(parts, n_rows)
+            return d.columns[d.first[i] : d.first[i + 1]].tolist()
         reader, min_run = PrefixReader(parts["data"]), from_header(parts["head"])[1]
         places = unpack_fixed(parts["offsets"][1:], parts["offsets"][0], n_rows)
 
@@ -169,36 +257,21 @@ class RefCopy(Format):
         return row(i)
 
     def decode(self, parts, n_rows, n_cols):
-        _, lists, _ = self.rows(parts, n_rows)
-        return np.repeat(np.arange(n_rows), [len(x) for x in lists]).astype(np.int64), np.array([c for x in lists for c in x], np.int64), None
-
-    def _differences(self, parts, n_rows):
-        offsets, lists, drops = self.rows(parts, n_rows)
-        ref = np.arange(n_rows) - np.array(offsets, np.int64)
-        depth = np.zeros(n_rows, np.int64)
-        added = []
-        for i, o in enumerate(offsets):
-            if o:
-                depth[i] = depth[i - o] + 1
-                known = set(lists[i - o])
-                added.append([c for c in lists[i] if c not in known])
-            else:
-                added.append(lists[i])
-        spread = lambda xs: (np.repeat(np.arange(n_rows), [len(x) for x in xs]).astype(np.int64), np.array([c for x in xs for c in x], np.int64))
-        return ref, depth, spread(added), spread(drops)
+        d = self.differences(parts, n_rows)
+        return np.repeat(np.arange(n_rows), d.degree), d.columns, None
 
     def right(self, parts, n_rows, n_cols, x):
-        ref, depth, (ar, ac), (dr, dc) = self._differences(parts, n_rows)
-        y = add_at(ar, x[ac], n_rows) - add_at(dr, x[dc], n_rows)
-        for d in range(1, int(depth.max(initial=0)) + 1):
-            at = np.flatnonzero(depth == d)
-            y[at] += y[ref[at]]
+        d = self.differences(parts, n_rows)
+        y = add_at(d.added[0], x[d.added[1]], n_rows) - add_at(d.dropped[0], x[d.dropped[1]], n_rows)
+        for k in range(1, int(d.depth.max(initial=0)) + 1):
+            at = np.flatnonzero(d.depth == k)
+            y[at] += y[d.ref[at]]
         return y
 
     def left(self, parts, n_rows, n_cols, z):
-        ref, depth, (ar, ac), (dr, dc) = self._differences(parts, n_rows)
+        d = self.differences(parts, n_rows)
         w = np.array(z, float)
-        for d in range(int(depth.max(initial=0)), 0, -1):
-            at = np.flatnonzero(depth == d)
-            w += np.bincount(ref[at], w[at], minlength=n_rows)
-        return np.bincount(ac, w[ar], minlength=n_cols) - np.bincount(dc, w[dr], minlength=n_cols)
+        for k in range(int(d.depth.max(initial=0)), 0, -1):
+            at = np.flatnonzero(d.depth == k)
+            w += np.bincount(d.ref[at], w[at], minlength=n_rows)
+        return np.bincount(d.added[1], w[d.added[0]], minlength=n_cols) - np.bincount(d.dropped[1], w[d.dropped[0]], minlength=n_cols)

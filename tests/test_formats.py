@@ -91,6 +91,64 @@ def test_reference_depth_and_row_access():
     r, c = np.repeat(np.arange(len(rows)), [len(x) for x in rows]), np.concatenate(rows)
     f = FORMATS["refcopy_prefix"]
     parts, work = f.encode(Tile(len(rows), 60, r, c))
-    _, depth, _, _ = f._differences(parts, len(rows))
+    depth = f.differences(parts, len(rows)).depth
     assert work["copied_rows"] > 20 and depth.max() <= 3
     assert all(f.row_of(parts, len(rows), i) == rows[i].tolist() for i in (0, 17, 40))
+
+
+def web_like(n=700, seed=3):
+    """Rows that copy most of a row shortly before, with blocks that recur across the matrix."""
+    rng = np.random.default_rng(seed)
+    rows = [np.unique(rng.integers(0, n, 12))]
+    for i in range(1, n):
+        old = rows[max(0, i - int(rng.integers(1, 6)))]
+        rows.append(np.unique(np.concatenate([old[rng.random(len(old)) < 0.9], rng.integers(0, n, 2), np.arange(i // 2, i // 2 + rng.integers(0, 6)) % n])))
+    block = rng.random((64, 64)) < 0.1
+    r, c = np.nonzero(block)
+    cells = {(i, int(j)) for i, row in enumerate(rows) for j in row} | {(int(a) + o, int(b) + p) for a, b in zip(r, c) for o in (0, 128, 512) for p in (0, 256)}
+    both = np.array(sorted(cells))
+    return n, both[:, 0], both[:, 1]
+
+
+@pytest.mark.parametrize("name", ["quadbits", "blocktree2d", "refcopy_prefix", "refcopy_stream", "pg_folded"])
+def test_products_of_a_larger_matrix(name):
+    n, r, c = web_like()
+    f = FORMATS[name]
+    parts, _ = f.encode(Tile(n, n, r, c))
+    x = np.random.default_rng(0).random(n)
+    dense = np.zeros((n, n))
+    dense[r, c] = 1
+    assert np.allclose(f.right(parts, n, n, x), dense @ x) and np.allclose(f.left(parts, n, n, x), x @ dense)
+    wide = np.column_stack([x, x * 2])
+    assert np.allclose(f.right(parts, n, n, wide), dense @ wide)
+    back = f.decode(parts, n, n)
+    assert np.array_equal(back[0], r) and np.array_equal(back[1], c)
+
+
+@pytest.mark.parametrize("opts", [{}, {"rank_directory": True}, {"k": 4, "rank_directory": True}])
+def test_cells_with_and_without_a_directory(opts):
+    n, r, c = web_like()
+    f = FORMATS["quadbits"]
+    parts, work = f.encode(Tile(n, n, r, c, None, opts))
+    ones, rng = set(zip(r.tolist(), c.tolist())), np.random.default_rng(1)
+    for i, j in [*list(ones)[:200], *rng.integers(0, n, (200, 2)).tolist()]:
+        assert f.cell(parts, i, j) == ((i, j) in ones)
+    assert len(parts.get("rank", b"")) == (4 * -(-work["bits"] // 512) if opts else 0)
+
+
+def test_a_quadrant_with_a_single_one_is_its_place():
+    f = FORMATS["blocktree2d"]
+    r, c = np.array([0, 100, 200, 255]), np.array([3, 90, 17, 255])
+    parts, work = f.encode(Tile(256, 256, r, c))
+    assert work["singles"] == 4 and work["nodes"] <= 3 and np.array_equal(f.decode(parts, 256, 256)[1], c)
+    # copies of one block in one column range are evaluated once
+    calls = []
+    keep = f._stretches
+    f._stretches = lambda t, h, name, at, x, turned: calls.append((h, len(name), len(set(zip(name.tolist(), at.tolist()))))) or keep(t, h, name, at, x, turned)
+    try:
+        n, r, c = web_like()
+        parts, _ = f.encode(Tile(n, n, r, c))
+        f.right(parts, n, n, np.ones(n))
+    finally:
+        del f._stretches
+    assert any(distinct < asked for _, asked, distinct in calls)
