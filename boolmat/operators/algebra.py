@@ -17,23 +17,22 @@ def depth_of(side: int) -> int:
 
 
 def quad_nodes(matrix: BoolMatrix, k: int = 2) -> DataFrame:
-    """(level, z, mask): non-empty nodes of the tree bottom-up; mask: which children are non-empty. k: 2 or 4.
+    """(level, z, mask): non-empty nodes of the tree; level 1 is the last above the cells; mask: which children hold ones.
 
-    The leaf codes are range-partitioned, so that the lower levels' distinct nodes are found mostly in place.
+    Every cell names its ancestor on each level; masks are or-ed before the one shuffle and after it. Cells are sorted
+    by tree order within their partitions first, so that few nodes leave a partition more than once.
     """
     bits = 2 * (k.bit_length() - 1)
     h = -(-2 * depth_of(max(matrix.n_rows, matrix.n_cols)) // bits)
-    leaf = matrix.df.select(morton(F.col("row"), F.col("col"), h * bits // 2).alias("z")).repartitionByRange("z")
-    if k == 2:
-        one = lambda z: F.expr(f"shiftleft(1, CAST({z} & 3 AS INT))")
-    else:
-        one = lambda z: F.expr(f"shiftleft(1, CAST({z} & 15 AS INT))")
-    levels, now = [], leaf
-    for level in range(1, h + 1):
-        now = now.groupBy(F.shiftright("z", bits).alias("p")).agg(F.bit_or(one("z")).alias("mask"))
-        levels.append(now.select(F.lit(level).alias("level"), F.col("p").alias("z"), "mask"))
-        now = levels[-1].select("z")
-    return reduce(DataFrame.unionAll, levels)
+    leaf = matrix.df.select(morton(F.col("row"), F.col("col"), h * bits // 2).alias("z"))
+    low = leaf.groupBy(F.shiftright("z", bits).alias("p")).agg(F.bit_or(F.expr(f"shiftleft(1, CAST(z & {(1 << bits) - 1} AS INT))")).alias("mask"))
+    low = stored(low, "quad-low") if h > 1 else low
+    ups = F.explode(F.expr(f"transform(sequence(2, {h}), l -> named_struct('level', l, 'z', shiftright(p, {bits} * (l - 1)), 'bit', shiftleft(1, CAST(shiftright(p, {bits} * (l - 2)) & {(1 << bits) - 1} AS INT))))"))
+    bottom = low.select(F.lit(1).alias("level"), F.col("p").alias("z"), "mask")
+    if h == 1:
+        return bottom
+    upper = low.select(ups.alias("n")).groupBy(F.col("n.level").alias("level"), F.col("n.z").alias("z")).agg(F.bit_or("n.bit").alias("mask"))
+    return bottom.unionAll(upper)
 
 
 def quad_level_counts(matrix: BoolMatrix, k: int = 2) -> DataFrame:
@@ -47,8 +46,35 @@ def quad_cells(nodes: DataFrame, height: int) -> DataFrame:
     for level in range(height, 0, -1):
         child = front.select(F.explode(F.expr("transform(filter(array(0, 1, 2, 3), d -> (mask & shiftleft(1, d)) <> 0), d -> z * 4 + d)")).alias("z"))
         front = child if level == 1 else child.join(nodes.where(F.col("level") == level - 1).select("z", "mask"), "z")
-    even = lambda s: reduce(lambda a, b: a + b, [F.shiftleft(F.shiftright("z", 2 * i + s).bitwiseAND(1), i) for i in range(height)])
-    return front.select(even(1).cast("bigint").alias("row"), even(0).cast("bigint").alias("col"))
+    return front.select(_digits("z", 1, height).alias("row"), _digits("z", 0, height).alias("col"))
+
+
+def _digits(z: str, side: int, height: int) -> Column:
+    """The row (side 1) or column (side 0) that is interleaved in a code."""
+    return reduce(lambda a, b: a + b, [F.shiftleft(F.shiftright(z, 2 * i + side).bitwiseAND(1), i) for i in range(height)]).cast("bigint")
+
+
+def quad_sum(a: DataFrame, b: DataFrame) -> DataFrame:
+    """The tree of the Boolean sum of two trees of one height: masks of nodes that stand in both are or-ed."""
+    return a.unionAll(b).groupBy("level", "z").agg(F.bit_or("mask").alias("mask"))
+
+
+def quad_product(a: DataFrame, b: DataFrame, height: int, semiring: str = "count") -> DataFrame:
+    """(row, col[, val]) of the product of two trees of one height, from the roots down.
+
+    A pair of nodes (rows i, middle k) and (middle k, columns j) goes on to the pairs of their children that share a
+    middle; a pair with an empty child ends there, so empty quadrants cost nothing.
+    """
+    spark = a.sparkSession
+    steps = F.expr("filter(transform(sequence(0, 7), s -> named_struct('x', CAST(2 * (s >> 2) + (s >> 1 & 1) AS INT), 'y', CAST(2 * (s >> 1 & 1) + (s & 1) AS INT))), d -> (ma & shiftleft(1, d.x)) <> 0 AND (mb & shiftleft(1, d.y)) <> 0)")
+    front = spark.range(1).select(F.col("id").alias("za"), F.col("id").alias("zb"))
+    for level in range(height, 0, -1):
+        mine = a.where(F.col("level") == level).select(F.col("z").alias("za"), F.col("mask").alias("ma"))
+        theirs = b.where(F.col("level") == level).select(F.col("z").alias("zb"), F.col("mask").alias("mb"))
+        front = front.join(mine, "za").join(theirs, "zb").select("za", "zb", F.explode(steps).alias("d")).select((F.col("za") * 4 + F.col("d.x")).alias("za"), (F.col("zb") * 4 + F.col("d.y")).alias("zb"))
+        front = stored(front, "quad-pairs") if level % 4 == 1 and level > 1 else front
+    cells = front.select(_digits("za", 1, height).alias("row"), _digits("zb", 0, height).alias("col"))
+    return cells.distinct() if semiring == "bool" else cells.groupBy("row", "col").agg(F.count("*").cast("double").alias("val"))
 
 
 def spmv_quad_relational(matrix: BoolMatrix, x: DataFrame) -> DataFrame:

@@ -149,7 +149,7 @@ add("spmm_embeddings_whole", _spmm_whole, f"WITH {edges_cte('F3')}, x AS (SELECT
 for _fmt, _f, _b in (("csr", "F6", 3), ("dense", "F3", 2), ("deflate", "F7", 2), ("lzma", "F7", 2), ("refcopy_prefix", "F6", 3), ("refcopy_stream", "F2", 4), ("quadbits", "F8", 4), ("pg_w32", "F1", 4), ("pg_packed", "F6", 3), ("pg_folded", "F2", 4), ("blocktree2d", "F2", 4), ("biclique", "F6", 3), ("colgroup", "F7", 3)):
     add(f"roundtrip_{_fmt}", lambda s, d, f=_f, m=_fmt, b=_b: decode(encode(graphs.matrix(s, d, f), m, b)), f"WITH {edges_cte(_f)} SELECT u::BIGINT AS row, v::BIGINT AS col FROM e")
 add("roundtrip_valued", lambda s, d: decode(encode(graphs.matrix(s, d, "F5"), "pg_folded", 4)), f"WITH {edges_cte('F5')} SELECT u AS row, v AS col, val FROM e")
-add("row_of_refcopy", lambda s, d: row_of(encode(graphs.matrix(s, d, "F6"), "refcopy_prefix", 3), 7), f"WITH {edges_cte('F6')} SELECT u::BIGINT AS row, v::BIGINT AS col FROM e WHERE u = 7")
+add("row_of_refcopy", lambda s, d: row_of(encode(graphs.matrix(s, d, "F2"), "refcopy_prefix", 3), 7), f"WITH {edges_cte('F2')} SELECT u::BIGINT AS row, v::BIGINT AS col FROM e WHERE u = 7")
 add("submatrix", lambda s, d: submatrix(encode(graphs.matrix(s, d, "F2"), "quadbits", 8), (100, 300), (50, 150)), f"WITH {edges_cte('F2')} SELECT u AS row, v AS col FROM e WHERE u >= 100 AND u < 300 AND v >= 50 AND v < 150")
 add("quadbits_cell_lookup", lambda s, d: cells_lookup(encode(graphs.matrix(s, d, "F3"), "quadbits", 2), s.range(400).select((F.col("id") % 20).alias("row"), F.floor(F.col("id") / 20).alias("col"))), f"WITH {edges_cte('F3')} SELECT (i % 20)::BIGINT AS row, (i // 20)::BIGINT AS col, EXISTS (SELECT 1 FROM e WHERE u = i % 20 AND v = i // 20) AS found FROM range(400) r(i)")
 
@@ -167,7 +167,23 @@ for _k in (2, 4):
 add("quadbits_packed_bits", lambda s, d: measures.work_report(encode(BoolMatrix(graphs.matrix(s, d, "F2").df, graphs.matrix(s, d, "F2").n_rows, graphs.matrix(s, d, "F2").n_cols), "quadbits", 1)).where("counter = 'bits'").select(F.col("n").alias("bits")), f"SELECT (4 * sum(nodes))::BIGINT AS bits FROM ({_levels('F2', 2)})")
 add("mat_sum_bool", lambda s, d: algebra.mat_sum(graphs.matrix(s, d, "F1"), graphs.matrix(s, d, "F1").transpose()), f"WITH {edges_cte('F1')} SELECT u AS row, v AS col FROM e UNION SELECT v, u FROM e")
 add("mat_mul_count", lambda s, d: algebra.mat_mul(graphs.matrix(s, d, "F3"), graphs.matrix(s, d, "F3")), f"WITH {edges_cte('F3')} SELECT a.u AS row, b.v AS col, count(*)::DOUBLE AS val FROM e a JOIN e b ON a.v = b.u GROUP BY 1, 2")
-add("mat_mul_bool", lambda s, d: algebra.mat_mul(graphs.matrix(s, d, "F6"), graphs.matrix(s, d, "F6"), "bool"), f"WITH {edges_cte('F6')} SELECT DISTINCT a.u::BIGINT AS row, b.v::BIGINT AS col FROM e a JOIN e b ON a.v = b.u")
+add("mat_mul_bool", lambda s, d: algebra.mat_mul(graphs.matrix(s, d, "F1"), graphs.matrix(s, d, "F3"), "bool"), f"WITH {edges_cte('F1')}, f AS ({SQL['F3']}) SELECT DISTINCT e.u::BIGINT AS row, f.v::BIGINT AS col FROM e JOIN f ON e.v = f.u")
+
+
+def _tree(s: SparkSession, d: str, f: str, turned: bool = False) -> tuple[DataFrame, int]:
+    m = graphs.matrix(s, d, f)
+    return stored(algebra.quad_nodes(m.transpose() if turned else m), "tree"), algebra.depth_of(max(m.n_rows, m.n_cols))
+
+
+def _tree_sum(s: SparkSession, d: str) -> DataFrame:
+    (a, h), (b, _) = _tree(s, d, "F1"), _tree(s, d, "F1", True)
+    return algebra.quad_cells(stored(algebra.quad_sum(a, b), "tree"), h)
+
+
+add("mat_sum_tree", _tree_sum, f"WITH {edges_cte('F1')} SELECT u::BIGINT AS row, v::BIGINT AS col FROM e UNION SELECT v::BIGINT, u::BIGINT FROM e")
+for _kind, _cells in (("count", "count(*)::DOUBLE AS val FROM e a JOIN e b ON a.v = b.u GROUP BY 1, 2"), ("bool", None)):
+    _q = lambda s, d, k=_kind: (lambda t: algebra.quad_product(t[0], t[0], t[1], k))(_tree(s, d, "F3"))
+    add(f"mat_mul_tree_{_kind}", _q, f"WITH {edges_cte('F3')} SELECT {'a.u::BIGINT AS row, b.v::BIGINT AS col, ' + _cells if _cells else 'DISTINCT a.u::BIGINT AS row, b.v::BIGINT AS col FROM e a JOIN e b ON a.v = b.u'}")
 
 
 def _transpose_tree(s: SparkSession, d: str) -> DataFrame:
