@@ -20,7 +20,7 @@ def main() -> None:
     spark = SparkSession.builder.master(f"local[{cpus}]").config("spark.driver.memory", os.environ.get("BENCH_MEMORY", "8g")).config("spark.sql.shuffle.partitions", cpus).config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     from boolmat.metrics.measures import PackageEnergyMeter, bits_per_edge
-    from boolmat.model import BoolMatrix, CompressedMatrix, encode
+    from boolmat.model import BoolMatrix, encode
     from boolmat.operators.pagerank import pagerank
     from boolmat.plans.spmv import spmv, spmv_edges
     from boolmat.queries import QUERIES, v1
@@ -52,7 +52,7 @@ def main() -> None:
     for fmt, opts in (("csr", {}), ("quadbits", {}), ("pg_w32", {"mode": "batched"}), ("pg_packed", {"mode": "batched"}), ("pg_folded", {"mode": "batched"}), ("deflate", {}), ("refcopy_stream", {})):
         def make(fmt=fmt, opts=opts):
             cm = encode(m.transpose(), fmt, int(cpus), **opts)
-            return CompressedMatrix(stored(cm.df, "bench"), fmt, cm.n_rows, cm.n_cols)
+            return cm.held(stored(cm.df, "bench"))
 
         cm = clock(f"encode_{fmt}", make)
         if cm:

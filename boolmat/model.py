@@ -4,15 +4,16 @@ from __future__ import annotations
 
 import json
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .formats.base import Tile
 from .formats.registry import FORMATS
+from .sources.tables import stored
 
 #: Ones that a tile holds by default; an upper bound keeps payloads far below what a BINARY value may hold.
 TILE_ONES = 1 << 22
@@ -46,6 +47,27 @@ class CompressedMatrix:
     n_cols: int
     valued: bool = False
     opts: dict = field(default_factory=dict)
+    #: Number of row blocks, and whether rows with more ones than a tile are spread over several tiles.
+    blocks: int = 0
+    segmented: bool = False
+    #: (blk, row_lo, row_hi) of all tiles, without the work of encoding them.
+    bounds: DataFrame | None = None
+
+    def held(self, df: DataFrame) -> CompressedMatrix:
+        """The same matrix over stored tiles."""
+        return replace(self, df=df, bounds=None)
+
+    def tiles_of(self, ids: DataFrame, at: str) -> DataFrame:
+        """ids, once per tile whose rows hold its column `at`, with blk, row_lo and row_hi.
+
+        Rows meet tiles through equal stretches of rows: a join by equality, then a test of the bounds.
+        """
+        n, stretches = max(1, self.n_rows), max(1, self.blocks or 1024)
+        place = lambda c: F.floor(c * stretches / F.lit(n))
+        bounds = (self.bounds if self.bounds is not None else self.df).select("blk", "row_lo", "row_hi").where("row_hi > row_lo")
+        spread = bounds.withColumn("__s", F.explode(F.sequence(place(F.col("row_lo")), place(F.col("row_hi") - 1))))
+        met = ids.withColumn("__s", place(F.col(at))).join(spread, "__s")
+        return met.where((F.col(at) >= F.col("row_lo")) & (F.col(at) < F.col("row_hi"))).drop("__s")
 
     def used_columns(self) -> DataFrame:
         """(blk, at, col): which global column stands at which place of a tile."""
@@ -62,47 +84,65 @@ def blocks_for(nnz: int) -> int:
     return max(1, -(-nnz // TILE_ONES))
 
 
-def with_blocks(matrix: BoolMatrix, blocks: int, by: str = "rows") -> DataFrame:
-    """Cells with blk, row_lo, row_hi. by='rows': equal row ranges; by='nnz': ranges with about equal numbers of ones.
-
-    For 'nnz' the ones of row stretches (at most 4096 of them) are counted and cut at equal shares.
-    """
-    n = max(1, matrix.n_rows)
-    if by == "rows":
-        blk = F.floor(F.col("row") * blocks / F.lit(n)).cast("int")
-        lo = lambda b: F.ceil(b * F.lit(n) / F.lit(blocks)).cast("bigint")
-        return matrix.df.withColumn("blk", blk).withColumns({"row_lo": lo(F.col("blk")), "row_hi": F.least(lo(F.col("blk") + 1), F.lit(matrix.n_rows))})
-    cuts = nnz_cuts(matrix, blocks)
-    edges = F.array(*[F.lit(c) for c in cuts])
-    blk = F.expr("aggregate({0}, 0, (a, c) -> a + IF(c <= row, 1, 0)) - 1".format("array(" + ", ".join(f"{c}L" for c in cuts[:-1]) + ")")).cast("int")
-    return matrix.df.withColumn("blk", blk).withColumns({"row_lo": edges[F.col("blk")].cast("bigint"), "row_hi": edges[F.col("blk") + 1].cast("bigint")})
-
-
-def nnz_cuts(matrix: BoolMatrix, blocks: int) -> list[int]:
-    """blocks + 1 row numbers between which the ones are about equally many."""
+def row_blocks(matrix: BoolMatrix, blocks: int) -> tuple[DataFrame, DataFrame]:
+    """(cells with blk, tiles (blk, row_lo, row_hi)) for equal row ranges, by arithmetic alone."""
     n = max(1, matrix.n_rows)
-    stretches = min(n, 4096)
-    counts = dict(matrix.df.groupBy(F.floor(F.col("row") * stretches / F.lit(n)).alias("s")).count().collect())
-    running = np.cumsum([counts.get(s, 0) for s in range(stretches)])
-    total = running[-1]
-    inner = [int(np.searchsorted(running, total * k / blocks, side="left")) + 1 for k in range(1, blocks)]
-    return [0, *(-(-min(s, stretches) * n // stretches) for s in inner), matrix.n_rows]
+    lo = lambda b: F.ceil(b * F.lit(n) / F.lit(blocks)).cast("bigint")
+    tiles = matrix.df.sparkSession.range(blocks).select(F.col("id").cast("int").alias("blk"), lo(F.col("id")).alias("row_lo"), F.least(lo(F.col("id") + 1), F.lit(matrix.n_rows)).alias("row_hi"))
+    return matrix.df.withColumn("blk", F.floor(F.col("row") * blocks / F.lit(n)).cast("int")), tiles
 
 
-def encode(matrix: BoolMatrix, fmt: str, blocks: int | None = None, by: str = "rows", **opts) -> CompressedMatrix:
+def balanced_blocks(matrix: BoolMatrix, blocks: int, most: int = TILE_ONES) -> tuple[DataFrame, DataFrame, bool]:
+    """(cells with blk, tiles, whether rows are split): row ranges with about equal numbers of ones.
+
+    Ones are counted per row stretch, stretches get running sums (in two steps, so that no task holds all of them), and
+    a stretch goes to the block of its first one. A row with more than `most` ones gets tiles of its own, one per
+    column range of about `most` ones; at most total / most rows are like that.
+    """
+    spark, n = matrix.df.sparkSession, max(1, matrix.n_rows)
+    stretches = min(n, max(4096, 16 * blocks))
+    groups = min(stretches, 1024)
+    place = F.floor(F.col("row") * stretches / F.lit(n))
+    hubs = stored(matrix.df.groupBy("row").agg(F.count("*").alias("ones")).where(F.col("ones") > most), "hubs")
+    split = hubs.limit(1).count() > 0
+    rest = matrix.df.join(F.broadcast(hubs.select("row")) if split else hubs.select("row"), "row", "left_anti") if split else matrix.df
+    counts = rest.groupBy(place.alias("s")).agg(F.count("*").alias("ones"))
+    filled = spark.range(stretches).select(F.col("id").alias("s")).join(counts, "s", "left").select("s", F.coalesce("ones", F.lit(0)).alias("ones"), F.floor(F.col("s") * groups / F.lit(stretches)).alias("g"))
+    filled = stored(filled, "stretches")
+    per_group = filled.groupBy("g").agg(F.sum("ones").alias("ones"))
+    earlier = lambda w: w.rowsBetween(Window.unboundedPreceding, -1)
+    offsets = per_group.select("g", F.coalesce(F.sum("ones").over(earlier(Window.orderBy("g"))), F.lit(0)).alias("offset"))  # at most 1024 rows
+    total = filled.agg(F.greatest(F.sum("ones"), F.lit(1)).alias("total"))
+    before = F.col("offset") + F.coalesce(F.sum("ones").over(earlier(Window.partitionBy("g").orderBy("s"))), F.lit(0))
+    dealt = filled.join(F.broadcast(offsets), "g").join(F.broadcast(total)).select("s", F.least(F.floor(before * blocks / F.col("total")), F.lit(blocks - 1)).cast("int").alias("blk"))
+    dealt = stored(dealt, "stretches")
+    low = lambda c: F.ceil(c * F.lit(n) / F.lit(stretches)).cast("bigint")
+    tiles = dealt.groupBy("blk").agg(low(F.min("s")).alias("row_lo"), F.least(low(F.max("s") + 1), F.lit(matrix.n_rows)).alias("row_hi"))
+    side = F.broadcast(dealt) if stretches <= 1 << 20 else dealt
+    cells = rest.withColumn("s", place).join(side, "s").drop("s")
+    if split:
+        wide = hubs.withColumn("parts", F.ceil(F.col("ones") / most))
+        wide = stored(wide.withColumn("base", blocks + F.sum("parts").over(Window.orderBy("row")) - F.col("parts")), "hubs")
+        own = matrix.df.join(F.broadcast(wide), "row").withColumn("blk", (F.col("base") + F.floor(F.col("col") * F.col("parts") / F.lit(max(1, matrix.n_cols)))).cast("int"))
+        cells = cells.unionByName(own.select(*cells.columns))
+        tiles = tiles.unionAll(wide.select(F.explode(F.sequence(F.col("base").cast("int"), (F.col("base") + F.col("parts") - 1).cast("int"))).alias("blk"), F.col("row").alias("row_lo"), (F.col("row") + 1).alias("row_hi")))
+    return cells, stored(tiles, "layout"), split
+
+
+def encode(matrix: BoolMatrix, fmt: str, blocks: int | None = None, by: str | None = None, **opts) -> CompressedMatrix:
     """One shuffle by row block; each block is encoded by one task. Encoding is deterministic, so retries agree.
 
-    Blocks without a one still get a tile, so that products cover all rows.
+    by='rows': equal row ranges, the default where `blocks` is given, as in the experiments on blocks. by='nnz': ranges
+    with about equal numbers of ones and no tile far above TILE_ONES, the default without `blocks`. Blocks without a one
+    still get a tile, so that products cover all rows.
     """
     codec = FORMATS[fmt]
     if matrix.valued and not codec.valued:
         raise ValueError(f"{fmt} keeps Boolean matrices only")
     valued, n_rows = matrix.valued, matrix.n_rows
+    by = by or ("rows" if blocks else "nnz")
     blocks = min(blocks or blocks_for(matrix.df.count()), max(1, n_rows))
-    cells = with_blocks(matrix, blocks, by)
-    spark = cells.sparkSession
-    cuts = nnz_cuts(matrix, blocks) if by == "nnz" else [-(-b * n_rows // blocks) for b in range(blocks + 1)]
-    lows = spark.range(blocks).select(F.col("id").cast("int").alias("blk"), F.element_at(F.array(*[F.lit(c).cast("bigint") for c in cuts]), F.col("id").cast("int") + 1).alias("row_lo"), F.element_at(F.array(*[F.lit(c).cast("bigint") for c in cuts]), F.col("id").cast("int") + 2).alias("row_hi"))
+    cells, lows, segmented = (*row_blocks(matrix, blocks), False) if by == "rows" else balanced_blocks(matrix, blocks)
 
     def pack(key: tuple, head: pa.Table, table: pa.Table) -> pa.Table:
         lo, hi = head.column("row_lo")[0].as_py(), head.column("row_hi")[0].as_py()
@@ -116,7 +156,7 @@ def encode(matrix: BoolMatrix, fmt: str, blocks: int | None = None, by: str = "r
         return pa.Table.from_pylist([row], TILE_ARROW)
 
     packed = lows.groupBy("blk").cogroup(cells.select("blk", "row", "col", *(["val"] if valued else [])).groupBy("blk")).applyInArrow(pack, TILE_SQL)
-    return CompressedMatrix(packed, fmt, n_rows, matrix.n_cols, valued, opts)
+    return CompressedMatrix(packed, fmt, n_rows, matrix.n_cols, valued, opts, blocks, segmented, lows)
 
 
 def decode(cm: CompressedMatrix) -> DataFrame:
@@ -136,7 +176,7 @@ def decode(cm: CompressedMatrix) -> DataFrame:
 
 def write_matrix(cm: CompressedMatrix, path: str) -> None:
     """Tiles as Parquet, with the header repeated as one JSON column (it compresses to nothing)."""
-    head = json.dumps({"fmt": cm.fmt, "n_rows": cm.n_rows, "n_cols": cm.n_cols, "valued": cm.valued, "opts": cm.opts})
+    head = json.dumps({"fmt": cm.fmt, "n_rows": cm.n_rows, "n_cols": cm.n_cols, "valued": cm.valued, "opts": cm.opts, "blocks": cm.blocks, "segmented": cm.segmented})
     cm.df.withColumn("head", F.lit(head)).write.mode("overwrite").parquet(path)
 
 
@@ -166,16 +206,14 @@ def row_of(cm: CompressedMatrix, row: int) -> DataFrame:
 
 def submatrix(cm: CompressedMatrix, rows: tuple[int, int], cols: tuple[int, int]) -> DataFrame:
     """Cells in half-open row and column ranges; tiles outside the rows are pruned by their headers before decoding."""
-    near = CompressedMatrix(cm.df.where((F.col("row_lo") < rows[1]) & (F.col("row_hi") > rows[0])), cm.fmt, cm.n_rows, cm.n_cols, cm.valued, cm.opts)
+    near = cm.held(cm.df.where((F.col("row_lo") < rows[1]) & (F.col("row_hi") > rows[0])))
     return decode(near).where((F.col("row") >= rows[0]) & (F.col("row") < rows[1]) & (F.col("col") >= cols[0]) & (F.col("col") < cols[1]))
 
 
 def cells_lookup(cm: CompressedMatrix, wanted: DataFrame) -> DataFrame:
     """wanted (row, col) with `found`: whether the cell is one. Quadrant trees test from the root, others decode."""
     codec = FORMATS[cm.fmt]
-    bounds = cm.df.select("blk", "row_lo", "row_hi").collect()  # one small row per tile
-    cuts = sorted(b["row_lo"] for b in bounds)
-    asked = wanted.withColumn("blk", F.expr("aggregate(array(" + ", ".join(f"{c}L" for c in cuts) + "), 0, (a, c) -> a + IF(c <= row, 1, 0)) - 1").cast("int"))
+    asked = cm.tiles_of(wanted, "row").select("blk", *wanted.columns)
 
     def run(tiles: pa.Table, asks: pa.Table) -> pa.Table:
         r, c = np.asarray(asks.column("row")), np.asarray(asks.column("col"))
@@ -192,4 +230,7 @@ def cells_lookup(cm: CompressedMatrix, wanted: DataFrame) -> DataFrame:
                 hit = known & np.isin((r - t["row_lo"]) * max(1, len(own)) + at, a * max(1, len(own)) + b)
         return pa.table({"row": r, "col": c, "found": hit})
 
-    return cm.df.groupBy("blk").cogroup(asked.groupBy("blk")).applyInArrow(run, "row bigint, col bigint, found boolean")
+    told = cm.df.groupBy("blk").cogroup(asked.groupBy("blk")).applyInArrow(run, "row bigint, col bigint, found boolean")
+    told = told.groupBy("row", "col").agg(F.bool_or("found").alias("found")) if cm.segmented else told
+    outside = wanted.where((F.col("row") < 0) | (F.col("row") >= cm.n_rows)).select("row", "col", F.lit(False).alias("found"))
+    return told.unionByName(outside)

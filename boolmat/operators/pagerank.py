@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from ..model import BoolMatrix, CompressedMatrix, encode
 from ..plans.spmv import spmv, spmv_edges, spmv_left
-from ..sources.tables import stored
+from ..sources.tables import remove_table, stored
 
 
 @dataclass
@@ -47,14 +47,14 @@ def product_of(matrix: BoolMatrix, fmt: str, side: str = "right", blocks: int |
         held = BoolMatrix(stored(held.df.repartition("col"), "edges"), held.n_rows, held.n_cols)
         return lambda x: spmv_edges(held, x)
     cm = encode(matrix.transpose() if side == "right" else matrix, fmt, blocks, **opts)
-    cm = CompressedMatrix(stored(cm.df, "tiles"), cm.fmt, cm.n_rows, cm.n_cols, cm.valued, cm.opts)
+    cm = cm.held(stored(cm.df, "tiles"))
     return (lambda x: spmv(cm, x)) if side == "right" else (lambda x: spmv_left(cm, x))
 
 
-def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, **opts) -> RankResult:
+def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, keep_history: bool = True, **opts) -> RankResult:
     """Ranks after `iterations` steps, or earlier where the change falls below tol (looked at every check_every steps).
 
-    start, teleport: (id, value), scaled to sum 1; uniform by default. The limit depends on teleport, not on start.
+    keep_history=False leaves out the record of every step and the job that makes it. start, teleport: (id, value), scaled to sum 1; uniform by default. The limit depends on teleport, not on start.
     """
     n = matrix.n_rows
     step_of = product_of(matrix, fmt, side, blocks, **opts)
@@ -81,12 +81,16 @@ def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100,
         change = F.abs(F.col("value") - F.col("old"))
         delta = {"l1": F.sum(change), "linf": F.max(change), "l2": F.sqrt(F.sum(change * change))}[norm]
         told = new.agg(delta.alias("delta"), F.sum("value").alias("mass"), F.max("s").alias("dangling")).select(F.lit(t).alias("t"), "delta", "mass", "dangling")
-        row = told.first()  # four numbers
-        history.append(matrix.df.sparkSession.createDataFrame([tuple(row)], "t int, delta double, mass double, dangling double"))
+        # three numbers per step: kept as a table where they decide nothing, so that a step is one job; fetched to decide
+        if keep_history:
+            history.append(stored(told, "told"))
+        if t > 1:
+            remove_table(now)
         now = new.select("id", "degree", "tp", "value")
-        if tol is not None and t % check_every == 0 and row["delta"] < tol:
+        if tol is not None and t % check_every == 0 and told.first()["delta"] < tol:
             break
-    return RankResult(now.select("id", "value"), reduce(DataFrame.unionAll, history))
+    none = matrix.df.sparkSession.createDataFrame([], "t int, delta double, mass double, dangling double")
+    return RankResult(now.select("id", "value"), reduce(DataFrame.unionAll, history, none))
 
 
 def _normalised(v: DataFrame) -> DataFrame:

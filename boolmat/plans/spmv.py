@@ -1,7 +1,7 @@
 """Matrix-vector products and the choice of how the vector travels.
 
 A vector is a DataFrame (id, value); ids without a row are 0. Three strategies:
-broadcast: the vector is packed into one value and meets every tile (vectors below a checked size);
+broadcast: the vector is packed into one value and meets every tile (vectors of a checked size, a few MB);
 dictionary: every tile gets exactly the entries its column dictionary names, by one shuffle of those entries;
 edges: no tiles at all, a join of the edge list with the vector and a partial and final sum.
 """
@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 from ..formats.registry import FORMATS
 from ..model import BoolMatrix, CompressedMatrix
 
-#: Vectors of up to this many bytes are broadcast.
-BROADCAST_BYTES = 256 << 20
+#: Vectors of up to this many bytes are broadcast: each tile's row carries a copy on its way to the kernel.
+BROADCAST_BYTES = 8 << 20
 
 
 def choose_spmv(n: int, iterations: int = 100, compressed: bool = True, limit: int = BROADCAST_BYTES, break_even: int = 3) -> str:
@@ -78,7 +78,7 @@ def spmv(cm: CompressedMatrix, x: DataFrame, strategy: str = "auto", emit: str =
                     ids, y = one(t, np.frombuffer(t["x"], np.float64)[np.frombuffer(t["col_dict"], np.int64)])
                     yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(y)], names=["id", "value"])
 
-        return cm.df.crossJoin(F.broadcast(packed(x, cm.n_cols))).mapInArrow(run, "id bigint, value double")
+        return whole_rows(cm, cm.df.crossJoin(F.broadcast(packed(x, cm.n_cols))).mapInArrow(run, "id bigint, value double"))
 
     entries = cm.used_columns().join(x.select(F.col("id").alias("col"), F.col("value").cast("double").alias("value")), "col").select("blk", "at", "value")
 
@@ -92,7 +92,12 @@ def spmv(cm: CompressedMatrix, x: DataFrame, strategy: str = "auto", emit: str =
         ids, y = one(t, local)
         return pa.table({"id": ids, "value": y})
 
-    return cm.df.groupBy("blk").cogroup(entries.groupBy("blk")).applyInArrow(meet, "id bigint, value double")
+    return whole_rows(cm, cm.df.groupBy("blk").cogroup(entries.groupBy("blk")).applyInArrow(meet, "id bigint, value double"))
+
+
+def whole_rows(cm: CompressedMatrix, y: DataFrame) -> DataFrame:
+    """y, with the parts of rows that several tiles share summed; only matrices with such rows pay a shuffle."""
+    return y.groupBy("id").agg(F.sum("value").alias("value")) if cm.segmented else y
 
 
 def spmv_left(cm: CompressedMatrix, z: DataFrame, strategy: str = "auto") -> DataFrame:
@@ -114,9 +119,6 @@ def spmv_left(cm: CompressedMatrix, z: DataFrame, strategy: str = "auto") -> Dat
 
         partial = cm.df.crossJoin(F.broadcast(packed(z, cm.n_rows))).mapInArrow(run, "id bigint, value double")
     else:
-        cuts = sorted(r[0] for r in cm.df.select("row_lo").collect())  # one number per tile
-        blk = F.expr("aggregate(array(" + ", ".join(f"{c}L" for c in cuts) + "), 0, (a, c) -> a + IF(c <= id, 1, 0)) - 1").cast("int")
-
         def meet(tiles: pa.Table, own: pa.Table) -> pa.Table:
             if not tiles.num_rows:
                 return pa.table({"id": pa.array([], pa.int64()), "value": pa.array([], pa.float64())})
@@ -127,7 +129,7 @@ def spmv_left(cm: CompressedMatrix, z: DataFrame, strategy: str = "auto") -> Dat
             cols, y = one(t, local)
             return pa.table({"id": cols, "value": y})
 
-        partial = cm.df.groupBy("blk").cogroup(z.withColumn("blk", blk).groupBy("blk")).applyInArrow(meet, "id bigint, value double")
+        partial = cm.df.groupBy("blk").cogroup(cm.tiles_of(z.select("id", "value"), "id").select("blk", "id", "value").groupBy("blk")).applyInArrow(meet, "id bigint, value double")
     return partial.groupBy("id").agg(F.sum("value").alias("value"))
 
 
@@ -148,7 +150,11 @@ def spmm(cm: CompressedMatrix, table: DataFrame, width: int) -> DataFrame:
         y = codec.right(dict(t["parts"]), n, t["n_cols"], local)
         return pa.table({"id": np.arange(n) + t["row_lo"], "vec": pa.ListArray.from_arrays(np.arange(0, n * width + 1, width, dtype=np.int32), np.ascontiguousarray(y).ravel())})
 
-    return cm.df.groupBy("blk").cogroup(entries.groupBy("blk")).applyInArrow(meet, "id bigint, vec array<double>")
+    y = cm.df.groupBy("blk").cogroup(entries.groupBy("blk")).applyInArrow(meet, "id bigint, vec array<double>")
+    if not cm.segmented:
+        return y
+    sums = y.select("id", F.posexplode("vec").alias("k", "c")).groupBy("id", "k").agg(F.sum("c").alias("c"))
+    return sums.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("k", "c"))).alias("all")).select("id", F.col("all.c").alias("vec"))
 
 
 def spmv_ternary(plus: CompressedMatrix, minus: CompressedMatrix, x: DataFrame) -> DataFrame:

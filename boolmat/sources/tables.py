@@ -47,6 +47,15 @@ def stored(df: DataFrame, tag: str = "table") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def remove_table(df: DataFrame) -> None:
+    """Deletes the tables of stored() that df reads, once nothing else reads them."""
+    spark = df.sparkSession
+    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        if "/boolmat-" in path:
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
 def read_edges(spark: SparkSession, path: str, fmt: str = "csv", sep: str = "\t") -> DataFrame:
     """edges(u, v), distinct, from delimited text or from little-endian pairs of 32-bit numbers."""
     if fmt == "csv":

@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..model import BoolMatrix, CompressedMatrix, encode
+from ..model import BoolMatrix, encode
 from ..plans.spmv import spmv, spmv_edges
 from ..sources.tables import shared_dir, stored
 
@@ -104,7 +104,7 @@ class DeltaMatrix:
     def __init__(self, base: BoolMatrix, fmt: str = "pg_w32", blocks: int = 4, **opts):
         self.base, self.fmt, self.blocks, self.opts = base, fmt, blocks, opts
         cm = encode(base, fmt, blocks, **opts)
-        self.cm = CompressedMatrix(stored(cm.df, "tiles"), fmt, base.n_rows, base.n_cols, False, opts)
+        self.cm = cm.held(stored(cm.df, "tiles"))
         self.added = base.df.limit(0)
         self.removed = base.df.limit(0)
 

@@ -111,3 +111,45 @@ def test_space_tables_name_all_matrices_formats_and_counts(spark, sf, monkeypatc
     formats = ("pg_w32", "pg_packed", "pg_folded", "quadbits", "refcopy_stream", "deflate", "lzma")
     assert set(got) == {("F3", f, b) for f in formats for b in (1, 2, 4, 8, 16, 24, 32, 40, 48)}
     assert got["F3", "pg_packed", 1].bits_per_edge == exact and got["F3", "pg_packed", 1].inflation == 1
+
+
+def test_heavy_rows_are_spread_over_tiles(spark, monkeypatch):
+    from boolmat import model
+    from boolmat.model import cells_lookup, row_of
+    from boolmat.plans.spmv import spmm, spmv_left
+
+    monkeypatch.setattr(model.balanced_blocks, "__defaults__", (50,))
+    rng = np.random.default_rng(4)
+    cells = {(3, int(c)) for c in rng.choice(400, 180, replace=False)} | {(int(r), int(c)) for r, c in rng.integers(0, 300, (600, 2))}
+    m = BoolMatrix(spark.createDataFrame(sorted(cells), "row bigint, col bigint"), 300, 400)
+    dense = np.zeros((300, 400))
+    dense[tuple(np.array(sorted(cells)).T)] = 1
+    cm = encode(m, "quadbits", 6, by="nnz")
+    assert cm.segmented and cm.df.where("row_hi = row_lo + 1 AND row_lo = 3").count() == 4
+    assert sorted(map(tuple, decode(cm).collect())) == sorted(cells)
+    x, z = np.arange(400) % 7, np.arange(300) % 5
+    frame = lambda v: spark.createDataFrame([(i, float(a)) for i, a in enumerate(v)], "id bigint, value double")
+    for how in ("broadcast", "dictionary"):
+        right, left = (dict(f(cm, frame(v), how).collect()) for f, v in ((spmv, x), (spmv_left, z)))
+        assert [right[i] for i in range(300)] == (dense @ x).tolist() and all(left.get(j, 0.0) == v for j, v in enumerate(z @ dense))
+    wide = dict(spmm(cm, spark.createDataFrame([(i, [float(a), 1.0]) for i, a in enumerate(x)], "id bigint, vec array<double>"), 2).collect())
+    assert wide[3] == (dense[3] @ np.column_stack([x, np.ones(400)])).tolist()
+    assert sorted(r.col for r in row_of(cm, 3).collect()) == np.flatnonzero(dense[3]).tolist()
+    asked = spark.createDataFrame([(3, c) for c in range(0, 400, 9)] + [(250, 1)], "row bigint, col bigint")
+    assert all(r.found == bool(dense[r.row, r.col]) for r in cells_lookup(cm, asked).collect())
+
+
+def test_plans_hold_no_list_of_tiles(spark, sf):
+    from boolmat.plans.spmv import spmv_left
+
+    m = matrix(spark, sf, "F4")
+    cm = encode(m, "csr", 300, by="nnz")
+    plan = spmv_left(cm, v1(m.n_rows, spark), "dictionary")._jdf.queryExecution().optimizedPlan().toString()
+    assert "array(" not in plan.replace("FlatMap", "") and plan.count("Literal") < 50
+    assert cm.df.agg(F.sum("nnz")).first()[0] == m.df.count() and cm.df.agg(F.max("nnz")).first()[0] < 10 * m.df.count() / 300 + 50
+
+
+def test_steps_leave_no_old_tables(spark):
+    m = BoolMatrix(spark.createDataFrame([(0, 1), (1, 0), (2, 0)], "row bigint, col bigint"), 3, 3)
+    done = pagerank(m, iterations=6, keep_history=False)
+    assert done.history.count() == 0 and done.ranks.count() == 3
