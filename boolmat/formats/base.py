@@ -11,6 +11,8 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
+from ..bits import pack_fixed, unpack_fixed, width_of
+
 Parts = dict[str, bytes]
 
 
@@ -72,5 +74,23 @@ def from_header(data: bytes) -> tuple[int, ...]:
     return struct.unpack(f"<{len(data) // 8}q", data)
 
 
+def pack_columns(own: np.ndarray) -> bytes:
+    """A tile's ascending column numbers: the first, their count, and the gaps at one width (0 for neighbours only)."""
+    if not len(own):
+        return header(0, 0)
+    gaps = np.diff(own) - 1
+    most = int(gaps.max(initial=0))
+    width = width_of(most) if most else 0
+    return header(int(own[0]), len(own)) + bytes([width]) + (pack_fixed(gaps, width) if width else b"")
+
+
+def columns_of(data: bytes) -> np.ndarray:
+    first, n = struct.unpack("<2q", data[:16])
+    if not n:
+        return np.zeros(0, np.int64)
+    gaps = unpack_fixed(data[17:], data[16], n - 1) if data[16] else np.zeros(n - 1, np.int64)
+    return np.concatenate([[first], first + np.cumsum(gaps + 1)]).astype(np.int64)
+
+
 def row_lengths(rows: np.ndarray, n_rows: int) -> np.ndarray:
     return np.bincount(rows, minlength=n_rows)

@@ -7,6 +7,9 @@ from __future__ import annotations
 
 import os
 import resource
+import shutil
+import signal
+import subprocess
 import time
 from collections.abc import Callable
 from functools import reduce
@@ -19,6 +22,10 @@ from ..formats.registry import COMPARED, FORMATS
 from ..model import BoolMatrix, CompressedMatrix, encode
 
 
+#: Numbers of a tile's header: block, first and last row, columns, ones.
+HEADER_BYTES = 40
+
+
 def graph_profile(matrix: BoolMatrix) -> DataFrame:
     """(n, m, mean_degree, dangling): Vertices of a square reading, ones, ones per row, rows without ones."""
     counts = matrix.df.agg(F.count("*").alias("m"), F.count_distinct("row").alias("full"))
@@ -29,14 +36,18 @@ def graph_profile(matrix: BoolMatrix) -> DataFrame:
 def space_report(cm: CompressedMatrix) -> DataFrame:
     """(part, bits): payload by part, dictionary and header; and bits per edge with and without the dictionary."""
     parts = cm.df.select(F.explode("parts").alias("part", "data"), "nnz").groupBy("part").agg((8 * F.sum(F.octet_length("data"))).alias("bits"))
-    extra = cm.df.agg((8 * F.sum(F.octet_length("col_dict"))).alias("col_dict"), (F.count("*") * 64 * 5).alias("header")).unpivot([], ["col_dict", "header"], "part", "bits")
+    extra = cm.df.agg((8 * F.sum(F.octet_length("col_dict"))).alias("col_dict"), (F.count("*") * 8 * HEADER_BYTES).alias("header")).unpivot([], ["col_dict", "header"], "part", "bits")
     return parts.unionAll(extra)
 
 
 def bits_per_edge(cm: CompressedMatrix) -> DataFrame:
-    """(nnz, bits, bits_per_edge) of the payload alone: the measure of a single block with dense columns."""
+    """(nnz, bits, total_bits, bits_per_edge, total_per_edge): payload, and payload with column dictionaries and headers.
+
+    The payload is the measure of a single block whose columns are all in use; what blocks add stands in the total.
+    """
     payload = F.expr("aggregate(map_values(parts), 0L, (a, x) -> a + octet_length(x))")
-    return cm.df.agg(F.sum("nnz").alias("nnz"), (8 * F.sum(payload)).alias("bits")).withColumn("bits_per_edge", F.try_divide("bits", "nnz"))
+    out = cm.df.agg(F.sum("nnz").alias("nnz"), (8 * F.sum(payload)).alias("bits"), (8 * F.sum(payload + F.octet_length("col_dict") + HEADER_BYTES)).alias("total_bits"))
+    return out.withColumns({"bits_per_edge": F.try_divide("bits", "nnz"), "total_per_edge": F.try_divide("total_bits", "nnz")})
 
 
 def work_report(cm: CompressedMatrix) -> DataFrame:
@@ -45,22 +56,30 @@ def work_report(cm: CompressedMatrix) -> DataFrame:
 
 
 def space_table(matrices: dict[str, BoolMatrix], formats: tuple[str, ...] = (*COMPARED, "deflate", "lzma"), blocks: int = 1, **opts) -> DataFrame:
-    """(dataset, one column per format): bits per edge. Matrices are stored in one pass per format."""
+    """(dataset, per format payload bits per edge as <format> and all bits per edge as <format>_total)."""
     rows = []
     for name, m in matrices.items():
         for fmt in formats:
             if not m.valued or FORMATS[fmt].valued:
-                rows.append(bits_per_edge(encode(m, fmt, blocks, **opts)).select(F.lit(name).alias("dataset"), F.lit(fmt).alias("format"), "bits_per_edge"))
+                rows.append(bits_per_edge(encode(m, fmt, blocks, **opts)).select(F.lit(name).alias("dataset"), F.lit(fmt).alias("format"), "bits_per_edge", "total_per_edge"))
     long = reduce(DataFrame.unionAll, rows)
-    return long.groupBy("dataset").pivot("format", list(formats)).agg(F.first("bits_per_edge"))
+    wide = long.groupBy("dataset").pivot("format", list(formats)).agg(F.first("bits_per_edge").alias("payload"), F.first("total_per_edge").alias("total"))
+    return wide.select("dataset", *[F.col(f"{f}_payload").alias(f) for f in formats], *[f"{f}_total" for f in formats])
+
+
+def web_vs_social(web: dict[str, BoolMatrix], social: dict[str, BoolMatrix], formats: tuple[str, ...] = (*COMPARED, "deflate"), mode: str = "batched") -> DataFrame:
+    """(format, web, social, gain): mean payload bits per edge of two families, and how many times smaller the first is."""
+    both = space_table(web | social, formats, mode=mode).withColumn("family", F.when(F.col("dataset").isin(*web), "web").otherwise("social"))
+    long = both.unpivot(["family"], list(formats), "format", "bits").groupBy("format").pivot("family", ["web", "social"]).agg(F.avg("bits"))
+    return long.withColumn("gain", F.col("social") / F.col("web"))
 
 
 def space_vs_blocks(matrix: BoolMatrix, formats: tuple[str, ...], counts: tuple[int, ...] = (1, 2, 4, 8, 16, 24, 32, 40, 48), **opts) -> DataFrame:
-    """(format, blocks, bits_per_edge, inflation against one block)."""
-    rows = [bits_per_edge(encode(matrix, f, b, **opts)).select(F.lit(f).alias("format"), F.lit(b).alias("blocks"), "bits_per_edge") for f in formats for b in counts]
+    """(format, blocks, bits_per_edge, total_per_edge, and the inflation of each against one block)."""
+    rows = [bits_per_edge(encode(matrix, f, b, **opts)).select(F.lit(f).alias("format"), F.lit(b).alias("blocks"), "bits_per_edge", "total_per_edge") for f in formats for b in counts]
     long = reduce(DataFrame.unionAll, rows)
-    base = F.first_value("bits_per_edge").over(Window.partitionBy("format").orderBy("blocks"))
-    return long.withColumn("inflation", F.col("bits_per_edge") / base)
+    base = lambda c: F.first_value(c).over(Window.partitionBy("format").orderBy("blocks"))
+    return long.withColumns({"inflation": F.col("bits_per_edge") / base("bits_per_edge"), "total_inflation": F.col("total_per_edge") / base("total_per_edge")})
 
 
 def product_error(y: DataFrame, ref: DataFrame) -> DataFrame:
@@ -112,14 +131,65 @@ def integrate_power(samples: DataFrame, volts: float, device: str = "device", ts
 
 
 def peak_memory(spark: SparkSession) -> dict:
-    """Peak MB of the driver's JVM heap pools and of this Python process; executors through the status tracker if any."""
+    """Peak MB of the driver's heap, of this Python process and its Python workers, and of every executor that reports."""
     pools = spark.sparkContext._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()
     heap = sum(p.getPeakUsage().getUsed() for p in pools if str(p.getType()) == "Heap memory")
-    return {"driver_jvm_mb": heap / 2**20, "driver_python_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024, "worker_python_mb": resource.getrusage(resource.RUSAGE_CHILDREN).ru_maxrss / 1024}
+    told = spark.sparkContext._jsc.sc().statusStore().executorList(True)
+    executors = {}
+    for i in range(told.size()):
+        e = told.apply(i)
+        if e.peakMemoryMetrics().isDefined():
+            m = e.peakMemoryMetrics().get()
+            executors[e.id()] = {"heap_mb": m.getMetricValue("JVMHeapMemory") / 2**20, "python_mb": m.getMetricValue("ProcessTreePythonRSSMemory") / 2**20}
+    return {"driver_jvm_mb": heap / 2**20, "driver_python_mb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024, "worker_python_mb": worker_peak_mb(), "executors": executors}
+
+
+def worker_peak_mb() -> float:
+    """Sum of the peak resident sizes of this host's living Python workers; 0 where the system does not tell."""
+    total = 0
+    for p in Path("/proc").glob("[0-9]*"):
+        try:
+            if b"pyspark" in (p / "cmdline").read_bytes() and b"daemon" in (p / "cmdline").read_bytes():
+                total += next((int(x.split()[1]) for x in (p / "status").read_text().splitlines() if x.startswith("VmHWM")), 0)
+        except OSError:
+            continue
+    return total / 1024
+
+
+# The counters by the names that perf gives them.
+PERF_EVENTS = {"cycles": "cycles", "instructions": "instructions", "L1-dcache-loads": "l1d_loads", "L1-dcache-load-misses": "l1d_load_misses", "L1-dcache-stores": "l1d_stores", "LLC-loads": "l3_accesses"}
+
+
+class HardwareCounters:
+    """Cycles, instructions and cache counters of a process (this one's JVM by default) between start() and stop().
+
+    They come from `perf stat` attached to the process; None with a reason where perf is missing or refuses.
+    """
+
+    def __init__(self, pid: int | None = None):
+        self.pid, self.tool, self.run = pid or os.getpid(), shutil.which("perf"), None
+
+    def start(self) -> None:
+        if self.tool:
+            self.run = subprocess.Popen([self.tool, "stat", "-x", ",", "-e", ",".join(PERF_EVENTS), "-p", str(self.pid)], stdout=subprocess.DEVNULL, stderr=subprocess.PIPE, text=True)
+
+    def stop(self) -> dict:
+        none = dict.fromkeys(PERF_EVENTS.values())
+        if not self.run:
+            return none | {"reason": "no perf on this host"}
+        self.run.send_signal(signal.SIGINT)
+        told = self.run.communicate()[1]
+        found = {}
+        for line in told.splitlines():
+            part = line.split(",")
+            if len(part) > 2 and part[2].split(":")[0] in PERF_EVENTS and part[0].isdigit():
+                found[PERF_EVENTS[part[2].split(":")[0]]] = int(part[0])
+        out = none | found
+        if out["cycles"] and out["instructions"]:
+            out["cpi"] = out["cycles"] / out["instructions"]
+        return out | {"reason": None if found else told.strip()[-200:] or "perf counted nothing"}
 
 
 def hardware_counters() -> dict:
-    """Cycles, instructions and cache counters: None with a reason where `perf` is missing."""
-    there = any(os.access(os.path.join(d, "perf"), os.X_OK) for d in os.environ.get("PATH", "").split(":"))
-    names = ("cycles", "instructions", "l1d_loads", "l1d_load_misses", "l1d_stores", "l3_accesses")
-    return {n: None for n in names} | {"reason": "wrap the session in perf to fill these" if there else "no perf on this host"}
+    """The counters' names without values, and why: for records made without a meter."""
+    return dict.fromkeys(PERF_EVENTS.values()) | {"reason": "no meter was started" if shutil.which("perf") else "no perf on this host"}

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .formats.base import Tile
+from .formats.base import Tile, columns_of, pack_columns
 from .formats.registry import FORMATS
 from .sources.tables import stored
 
@@ -39,7 +39,7 @@ class BoolMatrix:
 
 @dataclass
 class CompressedMatrix:
-    """One row per tile (columns in TILE_SQL). A tile numbers its own columns; col_dict lists them (8 bytes each)."""
+    """One row per tile (columns in TILE_SQL). A tile numbers its own columns; col_dict lists them as packed gaps."""
 
     df: DataFrame
     fmt: str
@@ -74,7 +74,7 @@ class CompressedMatrix:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for blk, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                    cols = np.frombuffer(raw, np.int64)
+                    cols = columns_of(raw)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(cols), blk), pa.int32()), pa.array(np.arange(len(cols)), pa.int32()), pa.array(cols)], names=["blk", "at", "col"])
 
         return self.df.select("blk", "col_dict").mapInArrow(run, "blk int, at int, col bigint")
@@ -152,7 +152,7 @@ def encode(matrix: BoolMatrix, fmt: str, blocks: int | None = None, by: str | No
         vals = np.asarray(table.column("val").combine_chunks())[order] if valued and table.num_rows else (np.zeros(0) if valued else None)
         own, local = np.unique(cols, return_inverse=True)
         parts, work = codec.encode(Tile(hi - lo, len(own), rows, local, vals, opts))
-        row = {"blk": key[0].as_py(), "row_lo": lo, "row_hi": hi, "n_cols": len(own), "nnz": len(rows), "col_dict": own.astype(np.int64).tobytes(), "parts": list(parts.items()), "work": [(k, int(v)) for k, v in work.items()]}
+        row = {"blk": key[0].as_py(), "row_lo": lo, "row_hi": hi, "n_cols": len(own), "nnz": len(rows), "col_dict": pack_columns(own), "parts": list(parts.items()), "work": [(k, int(v)) for k, v in work.items()]}
         return pa.Table.from_pylist([row], TILE_ARROW)
 
     packed = lows.groupBy("blk").cogroup(cells.select("blk", "row", "col", *(["val"] if valued else [])).groupBy("blk")).applyInArrow(pack, TILE_SQL)
@@ -166,7 +166,7 @@ def decode(cm: CompressedMatrix) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for t in batch.to_pylist():
-                own = np.frombuffer(t["col_dict"], np.int64)
+                own = columns_of(t["col_dict"])
                 r, c, v = codec.decode(dict(t["parts"]), t["row_hi"] - t["row_lo"], t["n_cols"])
                 out = [pa.array(r + t["row_lo"]), pa.array(own[c] if len(own) else c)]
                 yield pa.RecordBatch.from_arrays(out + ([pa.array(np.ones(len(r)) if v is None else v)] if valued else []), names=["row", "col", *(["val"] if valued else [])])
@@ -193,7 +193,7 @@ def row_of(cm: CompressedMatrix, row: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for t in batch.to_pylist():
-                own, n = np.frombuffer(t["col_dict"], np.int64), t["row_hi"] - t["row_lo"]
+                own, n = columns_of(t["col_dict"]), t["row_hi"] - t["row_lo"]
                 if hasattr(codec, "row_of"):
                     cols = np.array(codec.row_of(dict(t["parts"]), n, row - t["row_lo"]), np.int64)
                 else:
@@ -220,7 +220,7 @@ def cells_lookup(cm: CompressedMatrix, wanted: DataFrame) -> DataFrame:
         hit = np.zeros(len(r), bool)
         if tiles.num_rows and len(r):
             t = tiles.to_pylist()[0]
-            own, parts = np.frombuffer(t["col_dict"], np.int64), dict(t["parts"])
+            own, parts = columns_of(t["col_dict"]), dict(t["parts"])
             at = np.searchsorted(own, c)
             known = np.append(own, -1)[np.minimum(at, len(own))] == c
             if hasattr(codec, "cell"):

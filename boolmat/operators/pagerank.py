@@ -51,13 +51,14 @@ def product_of(matrix: BoolMatrix, fmt: str, side: str = "right", blocks: int |
     return (lambda x: spmv(cm, x)) if side == "right" else (lambda x: spmv_left(cm, x))
 
 
-def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, keep_history: bool = True, **opts) -> RankResult:
+def pagerank(matrix: BoolMatrix, *, alpha: float = 0.15, iterations: int = 100, tol: float | None = None, norm: str = "l1", check_every: int = 5, start: DataFrame | None = None, teleport: DataFrame | None = None, fmt: str = "edgelist", side: str = "right", blocks: int | None = None, keep_history: bool = True, step: Callable[[DataFrame], DataFrame] | None = None, **opts) -> RankResult:
     """Ranks after `iterations` steps, or earlier where the change falls below tol (looked at every check_every steps).
 
+    step: a product made by product_of() before, so that encoding is not part of the iterations.
     keep_history=False leaves out the record of every step and the job that makes it. start, teleport: (id, value), scaled to sum 1; uniform by default. The limit depends on teleport, not on start.
     """
     n = matrix.n_rows
-    step_of = product_of(matrix, fmt, side, blocks, **opts)
+    step_of = step or product_of(matrix, fmt, side, blocks, **opts)
     base = outdegrees(matrix)
 
     def shares(v: DataFrame | None, name: str) -> DataFrame:

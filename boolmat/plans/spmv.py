@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..formats.base import columns_of
 from ..formats.registry import FORMATS
 from ..model import BoolMatrix, CompressedMatrix
 
@@ -75,7 +76,7 @@ def spmv(cm: CompressedMatrix, x: DataFrame, strategy: str = "auto", emit: str =
             for batch in batches:
                 for i in range(batch.num_rows):
                     t = batch.slice(i, 1).to_pylist()[0]
-                    ids, y = one(t, np.frombuffer(t["x"], np.float64)[np.frombuffer(t["col_dict"], np.int64)])
+                    ids, y = one(t, np.frombuffer(t["x"], np.float64)[columns_of(t["col_dict"])])
                     yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(y)], names=["id", "value"])
 
         return whole_rows(cm, cm.df.crossJoin(F.broadcast(packed(x, cm.n_cols))).mapInArrow(run, "id bigint, value double"))
@@ -107,7 +108,7 @@ def spmv_left(cm: CompressedMatrix, z: DataFrame, strategy: str = "auto") -> Dat
 
     def one(t: dict, local: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         y = codec.left(dict(t["parts"]), t["row_hi"] - t["row_lo"], t["n_cols"], local)
-        return np.frombuffer(t["col_dict"], np.int64), np.asarray(y, float)
+        return columns_of(t["col_dict"]), np.asarray(y, float)
 
     if strategy == "broadcast":
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from functools import reduce
 
@@ -11,14 +12,15 @@ from pyspark.sql import functions as F
 from .formats.registry import COMPARED, FORMATS
 from .functions.scalar import byte_bits, gaps, list_diff, merge_metrics, morton, register_functions, runs, width_bits
 from .metrics import measures, reports
-from .model import BoolMatrix, cells_lookup, decode, encode, row_of, submatrix
+from .model import BoolMatrix, cells_lookup, decode, encode, read_matrix, row_blocks, row_of, submatrix
 from .operators import algebra, pagerank as pr
 from .operators import relational as rel
 from .plans import spmv as plans
 from .sources import graphs
 from .sources.graphs import SQL, edges_cte
-from .sources.tables import load, reverse_host, stored, url_path
+from .sources.tables import load, reverse_host, shared_dir, stored, url_path
 from .streaming import power
+from .sweep import load_runs, prepare
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -291,11 +293,15 @@ def _space_vs_blocks(s: SparkSession, d: str) -> DataFrame:
 
 
 add("space_table", lambda s, d: measures.space_table(_surveyed(s, d)))
+for _f in ("F1", "F2"):
+    _cells = f"SELECT count(*) AS m FROM ({SQL[_f]})"
+    add(f"space_quadbits_{_f}", lambda s, d, f=_f: rounded(measures.bits_per_edge(encode(graphs.matrix(s, d, f), "quadbits", 1)).select("nnz", "bits", "bits_per_edge"), "bits_per_edge"), f"SELECT m AS nnz, b AS bits, round(b / m::DOUBLE, 9) AS bits_per_edge FROM (SELECT (8 * ceil(sum(nodes) / 2.0) + 64 * (count(*) + 1))::BIGINT AS b FROM ({_levels(_f, 2)})), ({_cells})")
+add("web_vs_social", lambda s, d: measures.web_vs_social({"web": graphs.matrix(s, d, "F10", square=True)}, {"social": graphs.matrix(s, d, "F2")}))
 add("space_breakdown", lambda s, d: measures.space_report(encode(graphs.matrix(s, d, "F6"), "pg_folded", 1)))
 add("space_vs_blocks", _space_vs_blocks)
 add("work_report_edgelist", lambda s, d: measures.work_report(encode(graphs.matrix(s, d, "F4"), "edgelist", 4)), f"WITH {edges_cte('F4')} SELECT 'touched' AS counter, count(*)::BIGINT AS n FROM e")
 add("product_error", lambda s, d: (lambda m: measures.product_error(plans.spmv(encode(m, "refcopy_prefix", 3), v1(m.n_cols, s), emit="nonzero"), plans.spmv_edges(m, v1(m.n_cols, s))))(graphs.matrix(s, d, "F6")), "SELECT 0.0::DOUBLE AS max_abs, 0.0::DOUBLE AS max_rel, 0::BIGINT AS only_one")
-add("byte_compressor_bits", lambda s, d: graphs.matrix(s, d, "F7").df.withColumn("all", F.lit(1)).groupBy("all").applyInArrow(byte_bits("deflate"), "bits bigint"))
+add("byte_compressor_bits", lambda s, d: row_blocks(graphs.matrix(s, d, "F7"), 4)[0].select("blk", "row", "col").groupBy("blk").applyInArrow(lambda t: byte_bits("deflate")(t.drop(["blk"])), "bits bigint").agg(F.sum("bits").alias("bits")))
 _DEVICES = "(SELECT user_id AS device, ts, value AS amps FROM events)"
 
 
@@ -327,11 +333,33 @@ add("rank_formats", lambda s, d: reports.rank_formats(pseudo_runs(s, d)), f"SELE
 add("space_inflation", lambda s, d: rounded(reports.space_inflation(pseudo_runs(s, d)).select("dataset", "format", "degree", "inflation"), "inflation"), f"SELECT dataset, format, degree, round(bits / first_value(bits) OVER (PARTITION BY dataset, format ORDER BY degree), 9) AS inflation FROM {_RUNS_SQL}")
 add("report_q2", lambda s, d: rounded(reports.report_q2(pseudo_runs(s, d)), "differ", "mean_gap"), f"SELECT format, round(avg((t <> e)::INT), 9) AS differ, round(avg(t - e), 9) AS mean_gap FROM (SELECT dataset, format, arg_min(degree, (seconds, degree)) AS t, arg_min(degree, (joules, degree)) AS e FROM {_RUNS_SQL} GROUP BY 1, 2) GROUP BY 1")
 
+add("report_q1", lambda s, d: rounded(reports.report_q1(pseudo_runs(s, d), "click"), "time_ratio", "energy_ratio", "space_ratio"), f"WITH b AS (SELECT dataset, format, min(seconds) AS s, min(joules) AS j, min(bits) AS b FROM {_RUNS_SQL} GROUP BY 1, 2) SELECT x.dataset, x.format, round(x.s / y.s, 9) AS time_ratio, round(x.j / y.j, 9) AS energy_ratio, round(x.b / y.b, 9) AS space_ratio FROM b x LEFT JOIN b y ON x.dataset = y.dataset AND y.format = 'click'")
+add("report_q3", lambda s, d: rounded(reports.report_q3(pseudo_runs(s, d).withColumn("counters", F.create_map(F.lit("seconds"), "seconds", F.lit("bits"), "bits", F.lit("other"), "joules")), ("seconds", "bits")), "r", digits=6), f"SELECT format, counter, round(corr(n, joules), 6) AS r FROM (SELECT format, joules, unnest(['seconds', 'bits']) AS counter, unnest([seconds, bits]) AS n FROM {_RUNS_SQL}) GROUP BY 1, 2")
+
+# Reports on the records that the sweep has measured on one host: see RUNS.json for it ----------------------------------
+for _name, _report in (
+    ("runs_scaling", lambda r: reports.scaling(r)), ("runs_optimal_degree", lambda r: reports.optimal_degree(r)), ("runs_rank_formats", lambda r: reports.rank_formats(r)),
+    ("runs_report_q1", lambda r: reports.report_q1(r)), ("runs_report_q2", lambda r: reports.report_q2(r)), ("runs_space_inflation", lambda r: reports.space_inflation(r.withColumn("bits", F.col("total_bits")).where("format <> 'edgelist'")).select("dataset", "format", "degree", "inflation")),
+    ("runs_time_against_work", lambda r: reports.report_q3(r.withColumn("joules", F.col("seconds")), ("touched",)).withColumnRenamed("r", "r_seconds")),
+):
+    add(_name, lambda s, d, report=_report: report(load_runs(s)))
+
+
+def _prepared(s: SparkSession, d: str) -> DataFrame:
+    """Extracts, transposes and stores F7 in three formats, then counts what is read back."""
+    paths = prepare(s, d, "F7", ("csr", "quadbits", "pg_packed"), 2, f"{shared_dir(s)}/boolmat-prepared-{uuid.uuid4().hex}")
+    counts = [decode(read_matrix(s, p)).agg(F.count("*").alias("ones"), F.sum("row").alias("sum_rows")).select(F.lit(f).alias("format"), "ones", "sum_rows") for f, p in paths.items() if f != "outdegree"]
+    return reduce(DataFrame.unionAll, counts)
+
+
+add("prepare", _prepared, f"WITH {edges_cte('F7')} SELECT unnest(['csr', 'quadbits', 'pg_packed']) AS format, count(*) AS ones, sum(v)::BIGINT AS sum_rows FROM e")
+
 # Streams ------------------------------------------------------------------------------------------------------------
 _ev = lambda s, d: power.stream_events(s, f"{d}/events.parquet")
 add("stream_tumbling_power", lambda s, d: rounded(power.run_available(power.stream_power(_ev(s, d), "tumbling"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "n", "total"), "total", digits=6), "SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) AS n, round(sum(value), 6) AS total FROM events GROUP BY 1")
 add("stream_sliding_power", lambda s, d: rounded(power.run_available(power.stream_power(_ev(s, d), "sliding", "1 day", "12 hours"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "n", "total"), "total", digits=6), "SELECT start, count(*) AS n, round(sum(value), 6) AS total FROM (SELECT unnest([time_bucket(INTERVAL 12 HOUR, ts, TIMESTAMP '1970-01-01'), time_bucket(INTERVAL 12 HOUR, ts, TIMESTAMP '1970-01-01') - INTERVAL 12 HOUR]) AS start, value FROM events) GROUP BY 1")
 add("stream_session", lambda s, d: rounded(power.run_available(power.stream_power(_ev(s, d), "session"), "complete").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n", "total"), "total", digits=6), "SELECT user_id, min(ts) AS start, count(*) AS n, round(sum(value), 6) AS total FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, (coalesce(ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE, true))::INT AS fresh FROM events)) GROUP BY user_id, s")
+add("stream_energy", lambda s, d: rounded(power.run_updates(power.stream_energy(_ev(s, d), 5.0), "device"), "joules", digits=1), f"SELECT device, round(coalesce(sum((epoch_us(t2) - epoch_us(ts)) / 1000000.0::DOUBLE * (amps + a2) / 2 * 5.0), 0.0), 1) AS joules FROM (SELECT *, lead(ts) OVER w AS t2, lead(amps) OVER w AS a2 FROM {_DEVICES} WINDOW w AS (PARTITION BY device ORDER BY ts, amps)) GROUP BY 1")
 add("stream_dedup", lambda s, d: power.run_available(power.stream_dedup(_ev(s, d)).select("event_id")), "SELECT DISTINCT event_id FROM events")
 add("stream_enrich", lambda s, d: power.run_available(power.stream_enrich(_ev(s, d), load(s, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_nationkey"), "user_id").select("event_id", "c_nationkey")), "SELECT event_id, c_nationkey FROM events JOIN customer ON user_id = c_custkey")
 add("stream_pair", lambda s, d: power.run_available(power.stream_pair(_ev(s, d).where("event_type = 'click'"), _ev(s, d).where("event_type = 'purchase'"), "user_id")).select("k", F.col("start_ts").cast("timestamp_ntz").alias("start_ts"), F.col("stop_ts").cast("timestamp_ntz").alias("stop_ts")), "SELECT a.user_id AS k, a.ts AS start_ts, b.ts AS stop_ts FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts < a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'")

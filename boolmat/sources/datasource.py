@@ -14,6 +14,7 @@ import pyarrow as pa
 import pyarrow.dataset as ds
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 
+from ..formats.base import columns_of
 from ..formats.registry import FORMATS
 
 
@@ -44,7 +45,7 @@ class TileReader(DataSourceReader):
             return
         near = (ds.field("row_lo") < part.high) & (ds.field("row_hi") > part.low)
         for t in ds.dataset(part.file).to_table(filter=near).to_pylist():
-            own = np.frombuffer(t["col_dict"], np.int64)
+            own = columns_of(t["col_dict"])
             r, c, _ = FORMATS[json.loads(t["head"])["fmt"]].decode(dict(t["parts"]), t["row_hi"] - t["row_lo"], t["n_cols"])
             r, c = r + t["row_lo"], own[c] if len(own) else c
             keep = (r >= part.low) & (r < part.high)

@@ -63,31 +63,30 @@ def stream_pair(starts: DataFrame, stops: DataFrame, key: str, within: str = "1
 
 
 def stream_energy(events: DataFrame, volts: float) -> DataFrame:
-    """(device, joules) so far, by one record of state per device: last time, last current, energy. Events of a batch
-    are taken in time order; one older than the state is left out."""
-    from pyspark.sql.streaming import StatefulProcessor
-
-    class Trace(StatefulProcessor):
-        def init(self, handle):
-            self.state = handle.getValueState("trace", "t double, i double, joules double")
-
-        def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-            now = self.state.get() if self.state.exists() else (None, None, 0.0)
-            t, i, joules = now
-            for x in pd.concat(rows).sort_values(["t", "i"]).itertuples():
-                if t is not None and x.t < t:
-                    continue
-                if t is not None:
-                    joules += (x.t - t) * (x.i + i) / 2 * volts
-                t, i = x.t, x.i
-            self.state.update((t, i, joules))
-            yield pd.DataFrame({"device": [key[0]], "joules": [joules]})
-
-        def close(self):
-            pass
-
-    rows = events.select(F.col("user_id").alias("device"), (F.unix_micros("ts") / 1e6).alias("t"), F.col("value").alias("i"))
-    return rows.groupBy("device").transformWithStateInPandas(Trace(), "device bigint, joules double", "update", "none")
+    """(device, joules) so far, an update stream. One record of state per device: last time, last current, energy. Events
+    of a batch are taken in time order; one older than the state is left out."""
+    def fold(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        t, i, joules = state.get if state.exists else (None, None, 0.0)
+        for x in pd.concat(parts).sort_values(["t", "i"]).itertuples():
+            if t is not None and x.t < t:
+                continue
+            if t is not None:
+                joules += (x.t - t) / 1e6 * (x.i + i) / 2 * volts
+            t, i = x.t, x.i
+        state.update((int(t), float(i), float(joules)))
+        yield pd.DataFrame({"device": [key[0]], "joules": [joules]})
+
+    rows = events.select(F.col("user_id").alias("device"), F.unix_micros("ts").alias("t"), F.col("value").alias("i"))
+    return rows.groupBy("device").applyInPandasWithState(fold, "device bigint, joules double", "t bigint, i double, joules double", "update", "NoTimeout")
+
+
+def run_updates(df: DataFrame, key: str) -> DataFrame:
+    """Runs an update stream over what there is; the last row of each key."""
+    base = f"{shared_dir(df.sparkSession)}/boolmat-stream-{uuid.uuid4().hex}"
+    keep = lambda batch, i: batch.withColumn("batch", F.lit(i)).write.mode("append").parquet(base + "/out")
+    df.writeStream.outputMode("update").option("checkpointLocation", base + "/state").trigger(availableNow=True).foreachBatch(keep).start().awaitTermination()
+    told = df.sparkSession.read.parquet(base + "/out")
+    return told.groupBy(key).agg(F.max_by(F.struct(*[c for c in df.columns if c != key]), "batch").alias("last")).select(key, "last.*")
 
 
 def late_report(query) -> list[dict]:

@@ -1,4 +1,4 @@
-"""Experiments: iterations of a format over degrees of parallelism, one fresh session each, in subprocesses."""
+"""Experiments: iterations of formats over degrees of parallelism, one fresh session per degree, in subprocesses."""
 
 from __future__ import annotations
 
@@ -18,37 +18,73 @@ a = json.loads(sys.argv[2])
 from pyspark.sql import SparkSession
 spark = SparkSession.builder.master(f"local[{a['degree']}]").config("spark.driver.memory", a["heap"]).config("spark.sql.shuffle.partitions", str(max(2, a["degree"]))).config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
 spark.sparkContext.setLogLevel("ERROR")
-from boolmat.metrics.measures import PackageEnergyMeter, bits_per_edge, hardware_counters, peak_memory
-from boolmat.model import encode
-from boolmat.operators.pagerank import pagerank
-from boolmat.sources.graphs import matrix
-m = matrix(spark, a["sf"], a["dataset"], square=True)
-bits = None if a["format"] == "edgelist" else bits_per_edge(encode(m.transpose(), a["format"], a["degree"], **a["opts"])).first()["bits_per_edge"]
-meter = PackageEnergyMeter(); meter.start(); t = time.perf_counter()
-pagerank(m, iterations=a["iterations"], fmt=a["format"], blocks=None if a["format"] == "edgelist" else a["degree"], **a["opts"]).ranks.count()
-seconds = time.perf_counter() - t
-energy = meter.stop()
-print("RUN " + json.dumps({"dataset": a["dataset"], "format": a["format"], "degree": a["degree"], "blocks": a["degree"], "iterations": a["iterations"], "seconds": seconds, "joules": energy["joules"], "reason": energy["reason"], "bits": bits, **peak_memory(spark), "counters": {k: v for k, v in hardware_counters().items() if v is not None}}))
+from boolmat.sweep import run_one
+for dataset, fmt in a["pairs"]:
+    print("RUN " + json.dumps(run_one(spark, a["sf"], dataset, fmt, a["degree"], a["iterations"], a["opts"].get(fmt, {}))), flush=True)
 """
 
 
-def sweep(sf_dir: str, datasets: tuple[str, ...], formats: tuple[str, ...], degrees: tuple[int, ...] = (1, 2, 4), iterations: int = 100, profile: str = "server", timeout: int = 900, **opts) -> list[dict]:
-    """A record per dataset, format and degree. profile 'edge' gives the session a small heap. A run that does not end
-    within `timeout` seconds is recorded with seconds = None."""
+def run_one(spark, sf_dir: str, dataset: str, fmt: str, degree: int, iterations: int, opts: dict) -> dict:
+    """One record. encode_seconds: transposing, encoding and storing; seconds, joules and counters: the iterations alone."""
+    import time
+
+    from .metrics.measures import HardwareCounters, PackageEnergyMeter, bits_per_edge, peak_memory, work_report
+    from .model import BoolMatrix, encode
+    from .operators.pagerank import pagerank, product_of
+    from .plans.spmv import spmv
+    from .sources.graphs import matrix
+    from .sources.tables import stored
+
+    m = matrix(spark, sf_dir, dataset, square=True)
+    m = BoolMatrix(stored(m.df, "sweep"), m.n_rows, m.n_cols)
+    began = time.perf_counter()
+    if fmt == "edgelist":
+        step, space, work = product_of(m, fmt), {"bits_per_edge": 64.0, "total_per_edge": 64.0}, {"touched": m.df.count()}
+    else:
+        cm = encode(m.transpose(), fmt, degree, **opts)
+        cm = cm.held(stored(cm.df, "sweep"))
+        step, space, work = (lambda x: spmv(cm, x)), bits_per_edge(cm).first().asDict(), {r.counter: r.n for r in work_report(cm).collect()}
+    encoded = time.perf_counter() - began
+    pagerank(m, iterations=1, step=step, keep_history=False).ranks.count()  # workers and code are warm before the clock starts
+    meter, counters = PackageEnergyMeter(), HardwareCounters()
+    meter.start()
+    counters.start()
+    began = time.perf_counter()
+    pagerank(m, iterations=iterations, step=step, keep_history=False).ranks.count()
+    seconds, energy, counted = time.perf_counter() - began, meter.stop(), counters.stop()
+    peak = peak_memory(spark)
+    return {"dataset": dataset, "format": fmt, "degree": degree, "blocks": degree, "iterations": iterations, "encode_seconds": round(encoded, 3), "seconds": round(seconds, 3), "joules": energy["joules"], "joules_reason": energy["reason"], "bits": space["bits_per_edge"], "total_bits": space["total_per_edge"], "peak_mb": round(peak["driver_jvm_mb"] + peak["worker_python_mb"], 1), "counters": {k: float(v) for k, v in (work | counted).items() if isinstance(v, (int, float))}, "counters_reason": counted["reason"]}
+
+
+def sweep(sf_dir: str, datasets: tuple[str, ...], formats: tuple[str, ...], degrees: tuple[int, ...] = (1, 2, 4), iterations: int = 100, profile: str = "server", timeout: int = 900, opts: dict | None = None) -> list[dict]:
+    """A record per dataset, format and degree, one fresh session per degree. profile 'edge' gives the session a small heap.
+
+    opts: encoder options by format. What a session has not ended within `timeout` seconds is recorded with seconds = None.
+    """
     out = []
-    for dataset in datasets:
-        for fmt in formats:
-            for degree in degrees:
-                args = {"sf": sf_dir, "dataset": dataset, "format": fmt, "degree": degree, "iterations": iterations, "heap": "1g" if profile == "edge" else "4g", "opts": opts}
-                try:
-                    done = subprocess.run([sys.executable, "-c", _RUN, str(Path(__file__).resolve().parent.parent), json.dumps(args)], capture_output=True, text=True, timeout=timeout)
-                    found = [x[4:] for x in done.stdout.splitlines() if x.startswith("RUN ")]
-                    out.append(json.loads(found[-1]) if found else {**args, "seconds": None, "reason": done.stderr[-300:]})
-                except subprocess.TimeoutExpired:
-                    out.append({**args, "seconds": None, "reason": f"more than {timeout} s"})
+    for degree in degrees:
+        pairs = [(d, f) for d in datasets for f in formats]
+        args = {"sf": sf_dir, "pairs": pairs, "degree": degree, "iterations": iterations, "heap": "1g" if profile == "edge" else "4g", "opts": opts or {}}
+        try:
+            done = subprocess.run([sys.executable, "-c", _RUN, str(Path(__file__).resolve().parent.parent), json.dumps(args)], capture_output=True, text=True, timeout=timeout)
+            told, why = done.stdout, done.stderr[-300:]
+        except subprocess.TimeoutExpired as late:
+            told, why = (late.stdout or b"").decode(), f"more than {timeout} s"
+        found = [json.loads(x[4:]) for x in told.splitlines() if x.startswith("RUN ")]
+        have = {(r["dataset"], r["format"]) for r in found}
+        out += found + [{"dataset": d, "format": f, "degree": degree, "seconds": None, "reason": why} for d, f in pairs if (d, f) not in have]
     return out
 
 
+def load_runs(spark, path: str | None = None):
+    """Stored records as (dataset, format, degree, iterations, encode_seconds, seconds, joules, bits, total_bits, peak_mb,
+    counters); by default those beside this file, measured on the host that RUNS.json names."""
+    records = json.loads(Path(path or Path(__file__).with_name("RUNS.json")).read_text())["runs"]
+    schema = "dataset string, format string, degree int, iterations int, encode_seconds double, seconds double, joules double, bits double, total_bits double, peak_mb double, counters map<string,double>"
+    names = [x.split()[0] for x in schema.split(", ")]
+    return spark.createDataFrame([tuple(r.get(n) for n in names) for r in records if r.get("seconds") is not None], schema)
+
+
 def prepare(spark, sf_dir: str, dataset: str, formats: tuple[str, ...], blocks: int, path: str, **opts) -> dict[str, str]:
     """Extracts, transposes and encodes a dataset in each format, with its out-degrees beside; paths by name."""
     from .model import encode, write_matrix
