@@ -351,11 +351,13 @@ def repeated_windows(docs: DataFrame, length: int) -> DataFrame:
     found = bodies.withColumn("bucket", F.pmod("lane", F.lit(buckets))).groupBy("bucket").applyInArrow(lambda t: sort_bucket(t.drop(["bucket"]), length, buckets), _FOUND_SQL)
     found = written(found, "found")
     across = found.where("slot IS NOT NULL").groupBy("slot").applyInArrow(meet_lanes, "c bigint, s bigint, a int, b int")
-    parts = found.where("slot IS NULL").select("c", "s", "a", "b").unionAll(across)
-    # a piece that stands once can recur in parts only; the others recur as a whole
-    once = flat.join(parts.join(kinds.where("weight = 1").select("c", "s"), ["c", "s"]), ["c", "s"])
-    whole = kinds.where("weight > 1").select("c", "s", "weight", F.lit(0).alias("a"), (F.col("r.n") - 1).cast("int").alias("b"))
-    hits = once.unionByName(keyed_join(flat, whole, ["c", "s"], "weight").drop("weight")).select("id0", "t", (F.col("lo") + F.col("a")).alias("start"), (F.col("lo") + F.col("b") + 1).alias("end"))
+    parts = found.where("slot IS NULL").select("c", "s", "a", "b").unionAll(across).groupBy("c", "s").agg(F.collect_list(F.struct("a", "b")).alias("ranges"))
+    # a piece that stands several times recurs as a whole; one that stands once in the ranges found for it
+    whole = kinds.where("weight > 1").select("c", "s", "weight", F.array(F.struct(F.lit(0).alias("a"), (F.col("r.n") - 1).cast("int").alias("b"))).alias("ranges"))
+    once = kinds.where("weight = 1").select("c", "s", "weight").join(parts, ["c", "s"])
+    flags = written(whole.unionByName(once), "flags")
+    met = keyed_join(flat, flags, ["c", "s"], "weight").select("id0", "t", "lo", F.inline("ranges"))
+    hits = met.select("id0", "t", (F.col("lo") + F.col("a")).alias("start"), (F.col("lo") + F.col("b") + 1).alias("end"))
     return hits.groupBy("id0", "t").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
 
 
