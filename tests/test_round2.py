@@ -141,3 +141,15 @@ def test_valued_grammar_products_hold_no_entry_for_values_that_a_column_never_ha
     assert (codec.right(parts, 5_000, 20_000, x) == np.bincount(rows, tile.vals * x[cols], minlength=5_000)).all()
     assert _peak(lambda: codec.left(parts, 5_000, 20_000, z)) < 8 << 20  # values times columns alone: 32 MB
     assert _peak(lambda: codec.right(parts, 5_000, 20_000, x)) < 8 << 20
+
+
+def test_prefix_codes_and_row_copies_take_little_memory():
+    rng = np.random.default_rng(4)
+    rows, cols = np.repeat(np.arange(10_000), 4), np.sort(rng.integers(0, 1 << 20, (10_000, 4)) + np.arange(4) * (1 << 20)).ravel()
+    codec = FORMATS["refcopy_prefix"]
+    parts, _ = codec.encode(Tile(10_000, 4 << 20, rows, cols))
+    r, c, _ = codec.decode(parts, 10_000, 4 << 20)
+    assert (r == rows).all() and (c == cols).all()
+    assert _peak(lambda: codec.differences(parts, 10_000)) < 9 << 20
+    few = np.arange(0, 200_000, 1_000)
+    assert _peak(lambda: FORMATS["refcopy_stream"].encode(Tile(200_000, 9, few, few % 9))) < 54 << 20  # rows without ones make no lists
