@@ -153,3 +153,13 @@ def test_prefix_codes_and_row_copies_take_little_memory():
     assert _peak(lambda: codec.differences(parts, 10_000)) < 9 << 20
     few = np.arange(0, 200_000, 1_000)
     assert _peak(lambda: FORMATS["refcopy_stream"].encode(Tile(200_000, 9, few, few % 9))) < 54 << 20  # rows without ones make no lists
+
+
+def test_quadrant_trees_are_encoded_in_little_memory():
+    rng = np.random.default_rng(6)
+    cells = np.unique(rng.integers(0, 1 << 22, 1 << 16))
+    tile = Tile(1 << 11, 1 << 11, cells >> 11, cells & 2047)
+    parts, _ = FORMATS["quadbits"].encode(tile)
+    r, c, _ = FORMATS["quadbits"].decode(parts, 1 << 11, 1 << 11)
+    assert (r == tile.rows).all() and (c == tile.cols).all()
+    assert FORMATS["quadbits"].most < 1 << 20
