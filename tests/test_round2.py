@@ -163,3 +163,9 @@ def test_quadrant_trees_are_encoded_in_little_memory():
     r, c, _ = FORMATS["quadbits"].decode(parts, 1 << 11, 1 << 11)
     assert (r == tile.rows).all() and (c == tile.cols).all()
     assert FORMATS["quadbits"].most < 1 << 20
+
+
+@pytest.mark.parametrize("name", ["roundtrip_pg_folded", "roundtrip_pg_w32", "roundtrip_quadbits", "roundtrip_refcopy_stream"])
+def test_round_trips_decode_stored_tiles(spark, sf, name):
+    plan = QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "CoGroups" not in plan  # one Python worker a task
