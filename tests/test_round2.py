@@ -169,3 +169,20 @@ def test_quadrant_trees_are_encoded_in_little_memory():
 def test_round_trips_decode_stored_tiles(spark, sf, name):
     plan = QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "CoGroups" not in plan  # one Python worker a task
+
+
+def test_groups_of_one_column_are_packed_at_once(monkeypatch):
+    from boolmat.formats import pieces
+
+    calls = []
+    monkeypatch.setattr(pieces, "pack_fixed", lambda v, w, pack=pieces.pack_fixed: calls.append(w) or pack(v, w))
+    rng = np.random.default_rng(7)
+    cells = np.unique(rng.integers(0, 5_000 * 1_000, 5_000))
+    rows, cols = cells // 1_000, cells % 1_000
+    own, cols = np.unique(cols, return_inverse=True)
+    tile = Tile(5_000, len(own), rows, cols, rng.integers(1, 50, len(rows)).astype(float))
+    codec = FORMATS["colgroup"]
+    parts, _ = codec.encode(tile)
+    r, c, v = codec.decode(parts, 5_000, len(own))
+    assert (r == rows).all() and (c == cols).all() and (v == tile.vals).all()
+    assert len(calls) < 100  # one a column before
