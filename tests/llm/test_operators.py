@@ -242,6 +242,41 @@ def test_bpe_equals_the_library(spark, docs):
     assert Counter((r.doc_id, r.ids_sha256, r.decoded_sha256) for r in got) == want
 
 
+def test_bpe_marks_and_merges_many_texts_at_once(monkeypatch):
+    import public_tokenizers as P
+
+    assert P.PATTERN == bpe.FAMILIAR
+    t = bpe.Tokenizer(P.path("byte_bpe_50k.tiktoken"), P.PATTERN)
+    assert t.familiar and not bpe.Tokenizer(P.path("byte_bpe_50k.tiktoken"), r"\S+|\s+").familiar
+    rng = random.Random(7)
+    odd = ["'", "'", "'s", "'t", "'r", "e", "'ve", "'l", "l", "'m", "'d", "S", " ", " ", "  ", "\n", "\t", "\x1c", "\x85", "\xa0", "\u2003", "\u3000", "a", "é", "ß", "7", "²", "٣", "Ⅷ", "!", "…", "汉", "🙂", "𝔘", "𝟘", "e\u0301", "\u200d"]
+    made = ["".join(rng.choice(odd) for _ in range(rng.randint(0, 25))) for _ in range(3000)]
+    made += ["", "'s", "'", "x'", "'re", "'r", " 's", "\n's", "'s's", "''s", "\u2003x", "x\u2003", "\u2003 \u2003y", "", "thethethe" * 7, "ab" * 32, "汉字" * 40, "x" * 900]
+    raw = [x.encode() for x in made]
+    data, cuts = np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)])
+    bounds = bpe.pretokens(data, cuts)
+    pieces = [data[a:b].tobytes() for a, b in zip(bounds, bounds[1:])]
+    assert pieces == [p.encode() for x in made for p in t.split.findall(x)]
+    assert all(t.ends(x) == [m.end() for m in t.split.finditer(x)] for x in made)
+    assert bpe.pretokens(data[:0], np.zeros(3, np.int64)).tolist() == [0]
+
+    pieces += [bytes(rng.choice(b"aehnt") for _ in range(rng.randint(1, 70))) for _ in range(500)] + [bytes(rng.randbytes(rng.randint(1, 64))) for _ in range(500)]
+    want = [list(t.merge(p)) for p in pieces]
+    monkeypatch.setattr(bpe, "STEP", 100)
+    ids, counts = t.merge_all(pieces)
+    assert [x.tolist() for x in np.split(ids, np.cumsum(counts)[:-1])] == want
+
+    want = [t.encode_pieces(t.split.findall(x)) for x in made]
+    for most in (bpe.REMEMBERED, 50):  # all remembered, or forgotten again and again
+        monkeypatch.setattr(bpe, "REMEMBERED", most)
+        t.forget()
+        got = [t.encode_texts(data[cuts[a] : cuts[b]], cuts[a : b + 1] - cuts[a]).to_pylist() for a, b in ((0, 0), (0, 1500), (0, 1500), (1500, len(made)))]
+        assert got == [[], want[:1500], want[:1500], want[1500:]]
+    lists = pa.array([[], want[0], [], want[1]], pa.list_(pa.int32())).slice(1)
+    words = pa.array([t.bytes_of.get(i) for i in range(max(t.bytes_of) + 1)], pa.large_binary())
+    assert [bytes(x) for x in bpe.joined(words, lists.flatten(), lists.offsets.to_numpy())] == [raw[0], b"", raw[1]]
+
+
 def brute_components(rows, size, percent):
     sets = {}
     for i, t in rows:
