@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mixed, remove_table, shingle_hashes, slices, text_buffers, written
+from .common import files_for, mixed, remove_table, shingle_hashes, slices, text_buffers, written
 
 #: Bands (for 85 percent) and minima per band; the largest probability of missing a pair at the threshold.
 BANDS, ROWS, MISSED = 26, 5, 2.5e-7
@@ -34,6 +34,8 @@ BANDS, ROWS, MISSED = 26, 5, 2.5e-7
 SMALL_BUCKET, ASKED, HELD = 32, 256, 1024
 #: Above this number of document ids a table of them is joined by a shuffle instead of a broadcast (16 bytes each).
 BROADCAST_IDS = 1_000_000
+#: Edges that a file of a table between the steps of connected() holds before another one is begun.
+EDGES_A_FILE = 100_000
 _SIGNATURE = "doc_id bigint, n bigint, f1 bigint, f2 bigint, bands array<bigint>, bits array<bigint>"
 
 
@@ -119,14 +121,14 @@ def shingle_sets(docs: DataFrame, size: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id bigint, f1 bigint, items array<bigint>")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
-    """The pairs (a, b, fa, fb) with 100 * intersection >= percent * union, as (a, b). a, b: ids; fa, fb: fingerprints."""
+def verified(pairs: DataFrame, docs: DataFrame, size: int, percent: int, files: int = 0) -> DataFrame:
+    """The pairs (a, b, fa, fb) with 100 * intersection >= percent * union, as (a, b). a, b: ids; fa, fb: fingerprints. files: as in written()."""
     ends = pairs.select(F.col("a").alias("doc_id"), F.col("fa").alias("f")).unionAll(pairs.select("b", "fb")).distinct()
-    ends = written(ends, "near-ends")
+    ends = written(ends, "near-ends", files)
     few = ends.count() <= BROADCAST_IDS
     wanted = ends.select("doc_id").distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi")
-    sets = written(shingle_sets(texts, size).dropDuplicates(["doc_id", "f1"]), "near-sets")
+    sets = written(shingle_sets(texts, size).dropDuplicates(["doc_id", "f1"]), "near-sets", files)
     left = sets.select(F.col("doc_id").alias("a"), F.col("f1").alias("fa"), F.col("items").alias("x"))
     right = sets.select(F.col("doc_id").alias("b"), F.col("f1").alias("fb"), F.col("items").alias("y"))
     both = pairs.join(right, ["b", "fb"]).join(left, ["a", "fa"])
@@ -151,23 +153,23 @@ class _Forest:
         return x != y
 
 
-def linked_blocks(large: DataFrame, docs: DataFrame, size: int, percent: int) -> DataFrame:
+def linked_blocks(large: DataFrame, docs: DataFrame, size: int, percent: int, files: int = 0) -> DataFrame:
     """(a, b): links that join components, among the members (key, doc, f1, root) of large open buckets.
 
     Buckets that share members form a cluster. The members outside a cluster's largest component are compared with all
     its members, block by block; a block pair counts common shingles through an index of its first block, and gives only
-    links between roots that it has not joined yet, not all its pairs.
+    links between roots that it has not joined yet, not all its pairs. files: as in written().
     """
     least = large.groupBy("key").agg(F.min("doc").alias("b"))
-    cluster = connected(large.join(least, "key").select(F.col("doc").alias("a"), "b").distinct())
+    cluster = connected(large.join(least, "key").select(F.col("doc").alias("a"), "b").distinct(), files)
     members = large.select("doc", "f1", "root").distinct().join(cluster.select(F.col("node").alias("doc"), F.col("root").alias("c")), "doc", "left").withColumn("c", F.coalesce("c", "doc"))
-    members = written(members, "near-clusters")
+    members = written(members, "near-clusters", files)
     per_root = members.groupBy("c", "root").agg(F.count("*").alias("k"))
     shape = per_root.groupBy("c").agg(F.max(F.struct("k", "root")).alias("top"), F.sum("k").alias("n")).select("c", F.col("top.root").alias("largest"), F.ceil((F.col("n") - F.col("top.k")) / ASKED).alias("us"), F.ceil(F.col("n") / HELD).alias("vs")).where("us > 0")
     ids = members.select(F.col("doc").alias("doc_id")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi")
     sets = shingle_sets(texts, size).dropDuplicates(["doc_id", "f1"]).withColumnRenamed("doc_id", "doc")
-    whole = written(members.join(shape, "c").join(sets, ["doc", "f1"]), "near-blocks")
+    whole = written(members.join(shape, "c").join(sets, ["doc", "f1"]), "near-blocks", files)
     spread = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
     asked = whole.where("root <> largest").withColumn("u", F.pmod(F.xxhash64("doc", F.lit(1)), F.col("us"))).withColumn("v", spread("vs")).select("c", "u", "v", "doc", "root", "items")
     held = whole.withColumn("v", F.pmod(F.xxhash64("doc", F.lit(2)), F.col("vs"))).withColumn("u", spread("us")).select("c", "u", "v", "doc", "root", "items")
@@ -198,21 +200,23 @@ def linked_blocks(large: DataFrame, docs: DataFrame, size: int, percent: int) ->
     return asked.groupBy("c", "u", "v").cogroup(held.groupBy("c", "u", "v")).applyInArrow(compare, "a bigint, b bigint")
 
 
-def connected(edges: DataFrame) -> DataFrame:
+def connected(edges: DataFrame, files: int = 0) -> DataFrame:
     """(node, root) for every node of the edges (a, b), root being the smallest node of its component, by alternating
-    large-star and small-star steps until the edges stay the same. Roots themselves have no row."""
-    now = written(edges.select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).where("hi <> lo").distinct(), "cc")
+    large-star and small-star steps until the edges stay the same. Roots themselves have no row. files: as in written(),
+    for the first table; no step makes more edges than it was given, so the others follow from the edges' number."""
+    now = written(edges.select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).where("hi <> lo").distinct(), "cc", files)
     state = lambda df: tuple(df.agg(F.count("*"), F.bit_xor(F.xxhash64("hi", "lo")), F.sum(F.col("lo") % 1_000_003)).first())
     before = state(now)
     while before[0]:
+        files = -(-before[0] // EDGES_A_FILE)
         both = now.unionAll(now.select(F.col("lo").alias("hi"), F.col("hi").alias("lo"))).toDF("u", "v")
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("hi"), F.col("m").alias("lo")).where("hi <> lo").distinct()
-        large = written(large, "cc")
+        large = written(large, "cc", files)
         remove_table(now)
         small_min = large.groupBy("hi").agg(F.min("lo").alias("m"))
         moved = large.join(small_min, "hi").where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo"))
-        now = written(moved.unionAll(small_min.select("hi", F.col("m").alias("lo"))).distinct(), "cc")
+        now = written(moved.unionAll(small_min.select("hi", F.col("m").alias("lo"))).distinct(), "cc", files)
         remove_table(large)
         after = state(now)
         if after == before:
@@ -225,8 +229,9 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     """(doc_id, n_shingles, component_id, kept) for every row of docs. bands: by default those of bands_for()."""
     bands = bands or bands_for(percent, rows)
     signed = written(signatures(docs, size, bands, rows), "near-signatures")
+    files = files_for(docs.sparkSession, *signed.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first())
     classes = signed.where("n > 0 AND doc_id IS NOT NULL").groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("doc"), F.any_value("bands").alias("bands"), F.any_value("bits").alias("bits"))
-    classes = written(classes, "near-classes")
+    classes = written(classes, "near-classes", files)
     member = classes.select(F.explode("bands").alias("key"), "doc", "f1", "n", "bits")
     buckets = member.groupBy("key").agg(F.min(F.struct("doc", "f1", "n", "bits")).alias("pivot"), F.count("*").alias("members")).where("members > 1")
     words = -(-bands * rows // 64)
@@ -237,28 +242,28 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
         return f"least({x}.n, {y}.n) * 100 >= {percent} * greatest({x}.n, {y}.n) AND {apart} <= {tolerated}"
 
     stars = member.alias("m").join(buckets, "key").where("m.doc <> pivot.doc OR m.f1 <> pivot.f1").where(alike("pivot", "m"))
-    pairs = written(stars.select(F.col("pivot.doc").alias("a"), F.col("m.doc").alias("b"), F.col("pivot.f1").alias("fa"), F.col("m.f1").alias("fb")).distinct(), "near-pairs")
-    links = written(verified(pairs, docs, size, percent), "near-links")
-    roots = connected(links)
+    pairs = written(stars.select(F.col("pivot.doc").alias("a"), F.col("m.doc").alias("b"), F.col("pivot.f1").alias("fa"), F.col("m.f1").alias("fb")).distinct(), "near-pairs", files)
+    links = written(verified(pairs, docs, size, percent, files), "near-links", files)
+    roots = connected(links, files)
     # buckets that are not yet within one component: the rest of their pairs, without those inside a component
     placed = member.join(buckets.select("key"), "key", "left_semi").join(roots.withColumnRenamed("node", "doc"), "doc", "left").withColumn("root", F.coalesce("root", "doc"))
     per_root = placed.groupBy("key", "root").agg(F.count("*").alias("size"))
     open_keys = per_root.groupBy("key").agg(F.max(F.struct("size", "root")).alias("largest"), F.count("*").alias("roots"), F.sum("size").alias("total")).where("roots > 1").select("key", F.col("largest.root").alias("largest"), "total")
-    opened = written(placed.join(open_keys, "key"), "near-open")
+    opened = written(placed.join(open_keys, "key"), "near-open", files)
     few = opened.where(F.col("total") <= SMALL_BUCKET)
     rest = few.where("root <> largest").alias("u").join(few.alias("v"), (F.col("u.key") == F.col("v.key")) & (F.col("u.root") != F.col("v.root")) & ((F.col("v.root") == F.col("v.largest")) | (F.col("u.doc") < F.col("v.doc"))) & F.expr(alike("u", "v")))
     more = rest.select(F.col("u.doc").alias("a"), F.col("v.doc").alias("b"), F.col("u.f1").alias("fa"), F.col("v.f1").alias("fb")).distinct()
-    more = written(more.join(pairs, ["a", "b", "fa", "fb"], "left_anti").join(pairs.toDF("b", "a", "fb", "fa"), ["a", "b", "fa", "fb"], "left_anti"), "near-more")
+    more = written(more.join(pairs, ["a", "b", "fa", "fb"], "left_anti").join(pairs.toDF("b", "a", "fb", "fa"), ["a", "b", "fa", "fb"], "left_anti"), "near-more", files)
     if more.limit(1).count():
-        links = links.unionAll(verified(more, docs, size, percent))
+        links = links.unionAll(verified(more, docs, size, percent, files))
     large = opened.where(F.col("total") > SMALL_BUCKET).select("key", "doc", "f1", "root")
     if large.limit(1).count():
-        links = links.unionAll(written(linked_blocks(large, docs, size, percent), "near-links"))
+        links = links.unionAll(written(linked_blocks(large, docs, size, percent, files), "near-links"))
     own = signed.join(classes.select("f1", "f2", "n", "doc"), ["f1", "f2", "n"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.coalesce("doc", "doc_id")).alias("doc"))
-    own = written(own, "near-members")
+    own = written(own, "near-members", files)
     # an id that stands on different texts ties their classes together
     twice = own.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("doc").alias("least"), F.max("doc").alias("most")).where("least <> most").select("doc_id")
     tied = own.join(twice, "doc_id").where("doc_id <> doc").select(F.col("doc_id").alias("a"), F.col("doc").alias("b")).distinct()
-    roots = connected(links.unionAll(tied))
+    roots = connected(links.unionAll(tied), files)
     out = own.join(roots.withColumnRenamed("node", "doc"), "doc", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("root", "doc").alias("component_id"))
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))

@@ -10,7 +10,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from boolmat.llm import ann, bpe, chat_format, minhash, mixing, pii, quality_model, quality_rules, suffix_dedup, warc
+from boolmat.llm import ann, bpe, chat_format, common, minhash, mixing, pii, quality_model, quality_rules, suffix_dedup, warc
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 DOCS = "doc_id bigint, text string, source string, lang string"
@@ -338,6 +338,32 @@ def test_bands_follow_from_the_threshold(spark, monkeypatch):
     assert used == [39, 26]
 
 
+def test_few_rows_make_few_files(spark, monkeypatch):
+    made = {}
+
+    def counted(df, tag, *files):
+        out = common.written(df, tag, *files)
+        made.setdefault(tag, []).append(len(out.inputFiles()))
+        return out
+
+    monkeypatch.setattr(minhash, "written", counted)
+    most, text = spark.sparkContext.defaultParallelism, lambda k: [f"w{k}x{i}" for i in range(60)]
+    docs = spark.createDataFrame([(3 * k + c, " ".join([*text(k), "tail"][c % 2 : 61 - (c == 2)])) for k in range(40 * most) for c in range(3)], "doc_id bigint, text string")
+    wide = {"spark.sql.shuffle.partitions": str(8 * most), "spark.sql.adaptive.coalescePartitions.enabled": "false"}
+    before = {k: spark.conf.get(k) for k in wide}
+    try:
+        for k, v in wide.items():
+            spark.conf.set(k, v)
+        got = {r.doc_id: r.component_id for r in minhash.near_duplicates(docs).collect()}
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    assert got == {i: i - i % 3 for i in range(120 * most)}
+    assert {"near-classes", "near-pairs", "near-sets", "near-links", "cc"} <= made.keys()
+    assert all(n <= most for counts in made.values() for n in counts) and min(made["cc"]) == 1
+    assert common.files_for(spark, 5_000 * most * 7) == 7 * most and common.files_for(spark, 1, 2_000_000 * most * 3 + 1) == 3 * most + 1
+
+
 def test_connected_components(spark):
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, 120), (120, 110), (110, 105)] + [(500, x) for x in range(501, 560)] + [(7, 7)]
     got = dict(minhash.connected(spark.createDataFrame(edges, "a bigint, b bigint")).collect())
