@@ -383,6 +383,33 @@ def test_ranking_learns_and_scores_all_rows(spark, empty):
     assert [r.score for r in blank] == [0.5] and quality_model.score(empty, quality_model.fit(df, labels)).count() == 0
 
 
+def test_ranking_takes_all_pairs_of_all_labelled_rows(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    x, good = rng.normal(size=(300, len(quality_model.FEATURES))), rng.random(300) < 0.7
+    x[good] += 0.4
+    model = quality_model.fit_pairs(x, good)
+    bins = model.bins(x)
+    hot = (bins[:, :, None] == np.arange(len(model.weights))).sum(1).astype(float)
+    raw = hot @ model.weights
+    pull = 1 / (1 + np.exp(raw[good][:, None] - raw[~good][None, :]))  # of each pair
+    slope = (hot[~good].T @ pull.sum(0) - hot[good].T @ pull.sum(1)) / pull.size + 1e-3 * model.weights
+    assert np.abs(slope).max() < 1e-8 and np.abs(model.weights).max() > 0.1
+    assert model.cut == pytest.approx(np.quantile(raw, 1 - good.mean()))
+    monkeypatch.setattr(quality_model, "FIT_ROWS", 50, raising=False)
+    rows = spark.createDataFrame([(i, *map(float, r)) for i, r in enumerate(x)], "doc_id bigint, " + ", ".join(f"{f} double" for f in quality_model.FEATURES)).repartition(5)
+    spread = quality_model.fit(rows, spark.createDataFrame([(i, int(g)) for i, g in enumerate(good)], "doc_id bigint, quality int"))
+    assert np.allclose(spread.weights, model.weights, atol=1e-8) and spread.cut == pytest.approx(model.cut)
+    assert all(np.allclose(a, b) for a, b in zip(spread.borders, model.borders, strict=True))
+
+
+def test_quantiles_of_ties(spark):
+    values = [0.0] * 50 + [1.5, -2.0, 7.25, 7.25] + [float(i) for i in range(30)]
+    rows = spark.createDataFrame([(k, v * (k + 1)) for v in values for k in range(3)], "kind int, value double").repartition(4)
+    shares = np.array([0, 0.1, 0.37, 0.5, 0.93, 1])
+    got = quality_model.quantiles(rows, shares)
+    assert all(np.allclose(got[k], np.quantile(np.array(values) * (k + 1), shares)) for k in range(3))
+
+
 def test_text_features_do_not_depend_on_neighbours():
     from boolmat.llm.common import text_buffers
 
