@@ -152,3 +152,78 @@ def test_a_quadrant_with_a_single_one_is_its_place():
     finally:
         del f._stretches
     assert any(distinct < asked for _, asked, distinct in calls)
+
+
+def _one_row(row, ref, offset, own, min_run):
+    """The numbers of a row, one column after the other."""
+    out, left = [len(row), offset], row
+    if offset:
+        flags = [c in row for c in ref]
+        runs = [] if flags[0] else [0]
+        for i, f in enumerate(flags):
+            if i and f == flags[i - 1]:
+                runs[-1] += 1
+            else:
+                runs.append(1)
+        runs = runs if flags[-1] else runs[:-1]
+        out += [len(runs), *runs]
+        left = [c for c in row if c not in ref]
+    zig = lambda v: 2 * v if v >= 0 else -2 * v - 1
+    pieces = []
+    for c in left:
+        if pieces and c == pieces[-1][-1] + 1:
+            pieces[-1].append(c)
+        else:
+            pieces.append([c])
+    wide, rest = [p for p in pieces if len(p) >= min_run], [c for p in pieces if len(p) < min_run for c in p]
+    out.append(len(wide))
+    for k, p in enumerate(wide):
+        out += [p[0] - wide[k - 1][-1] - 2 if k else zig(p[0] - own), len(p) - min_run]
+    return out + [c - rest[k - 1] - 1 if k else zig(c - own) for k, c in enumerate(rest)]
+
+
+@pytest.mark.parametrize("window", [0, 3, 7, 70])
+def test_refcopy_chooses_as_row_by_row(window, monkeypatch):
+    from boolmat.bits import fold_decode
+    from boolmat.formats import refcopy
+
+    monkeypatch.setattr(refcopy, "CELLS", 150, raising=False)  # several stretches
+    rng = np.random.default_rng(window)
+    grid = rng.random((90, 40)) < rng.choice([0.0, 0.1, 0.5, 0.9], (90, 1))
+    for i in range(1, 90):
+        if rng.random() < 0.7:
+            grid[i] = grid[max(0, i - int(rng.integers(1, 9)))] ^ (rng.random(40) < 0.05)
+    rows = [np.flatnonzero(g).tolist() for g in grid]
+    want, depth = [], []
+    for i, row in enumerate(rows):
+        best, d = _one_row(row, None, 0, i, 4), 0
+        cost = lambda v: sum(2 * (x + 1).bit_length() - 1 for x in v)
+        for off in range(1, min(window, i) + 1):
+            if depth[i - off] < 3 and set(row) & set(rows[i - off]):
+                found = _one_row(row, rows[i - off], off, i, 4)
+                if cost(found) < cost(best):
+                    best, d = found, depth[i - off] + 1
+        want += best
+        depth.append(d)
+    r, c = np.nonzero(grid)
+    parts, work = refcopy.RefCopy("stream").encode(Tile(90, 40, r, c, None, {"window": window}))
+    assert fold_decode(parts["data"]).tolist() == want and work["copied_rows"] == sum(d > 0 for d in depth)
+
+
+def test_refcopy_takes_many_rows_a_step():
+    import sys
+
+    rng = np.random.default_rng(2)
+    cells = np.unique(rng.integers(0, 4000, 80_000) * 500 + rng.integers(0, 500, 80_000))
+    steps = 0
+
+    def count(frame, event, arg):
+        nonlocal steps
+        steps += event in ("call", "c_call")
+
+    sys.setprofile(count)
+    try:
+        FORMATS["refcopy_stream"].encode(Tile(4000, 500, cells // 500, cells % 500))
+    finally:
+        sys.setprofile(None)
+    assert steps < 30_000  # 2,356,531 row by row
